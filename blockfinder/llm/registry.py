@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from . import language, media, packing, pii, quality, sharding, simhash
+from . import counting, language, lm, media, packing, pii, quality, sharding, simhash
 
 QUERIES = {
     "op1_longest_first_shards": sharding.query,
+    "op3_class_ngram_scores": lm.query,
     "op4_feistel_pseudonyms": pii.query,
     "op5_compression_language": language.query,
     "op6_gray_simhash": simhash.query,
     "op7_best_fit_packing": packing.query,
     "op8_iso_media": media.query,
+    "op9_edit_aware_counts": counting.query,
     "op10_quality_rules": quality.query,
 }
 ORACLES: dict[str, str] = {}

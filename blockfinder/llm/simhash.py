@@ -225,3 +225,17 @@ def near_copies(df: DataFrame, key: str = "doc_id", text: str = "text", words: i
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_copies(documents(spark, sf_dir)).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> DataFrame:
+    """The rows of ``docs`` (doc_id, text and more) with the least id of each group of near copies, with its columns.
+
+    Repeated rows of an id count once. Rows without an id can't be told apart by it and stay.
+    """
+    found = near_copies(docs, words=words, radius=radius).where("doc_id is not null")
+    ids = durable(found.groupBy("doc_id").agg(F.min("component_id").alias("__least"), F.count(F.lit(1)).alias("__n")).where("doc_id = __least").select("doc_id", "__n"))
+    kept = docs.join(ids, "doc_id").select(*docs.columns, "__n")
+    out = kept.where("__n = 1")
+    if not ids.where("__n > 1").isEmpty():
+        out = out.unionByName(kept.where("__n > 1").dropDuplicates(["doc_id"]))
+    return out.drop("__n").unionByName(docs.where("doc_id is null"))
