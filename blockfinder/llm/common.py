@@ -89,3 +89,20 @@ def rank_within(df: DataFrame, group: list[str], order: list[str], out: str, buc
 def crc_text(column: Column) -> Column:
     """CRC-32 of a value as text, unsigned; null counts as empty."""
     return F.crc32(F.coalesce(column.cast("string"), F.lit("")))
+
+
+def frequent(counts: DataFrame, word: str, n: str, most: int, most_bytes: int) -> Column | None:
+    """A condition that the most frequent words meet, at most ``most`` of them and none longer than ``most_bytes``.
+
+    A histogram over the logarithm of the frequency, which is small, gives the least one. None if even the words of the
+    highest level are too many.
+    """
+    level = F.floor(F.log2(n) * 16).cast("int")
+    short = F.octet_length(word) <= most_bytes
+    levels = sorted(((r["level"], r["count"]) for r in counts.where(short).groupBy(level.alias("level")).count().collect()), reverse=True)
+    room, least = most, None
+    for k, size in levels:
+        if size > room:
+            break
+        room, least = room - size, k
+    return None if least is None else short & (level >= least)

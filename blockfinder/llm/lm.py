@@ -20,7 +20,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, ascii_words, crc_text, documents, durable
+from .common import arrow_map, ascii_words, crc_text, documents, durable, frequent
 
 HEAD = 1 << 18  # most words whose counts go to each task; all others are joined
 HEAD_BYTES = 64  # longer words are never among them
@@ -55,21 +55,11 @@ def word_counts(df: DataFrame, text: str, train: Column) -> DataFrame:
 
 
 def head_words(counts: DataFrame, most: int = HEAD) -> tuple[list[str], np.ndarray]:
-    """The most frequent words, at most ``most``, with their training counts, by descending frequency.
-
-    A histogram over the logarithm of the frequency gives the least one that they may have.
-    """
-    level = F.floor(F.log2("n") * 16).cast("int")
-    short = counts.where(F.octet_length("word") <= HEAD_BYTES)
-    levels = sorted(((r["level"], r["count"]) for r in short.groupBy(level.alias("level")).count().collect()), reverse=True)
-    room, least = most, None
-    for k, n in levels:
-        if n > room:
-            break
-        room, least = room - n, k
-    if least is None:
+    """The most frequent words, at most ``most``, with their training counts, by descending frequency."""
+    chosen = frequent(counts, "word", "n", most, HEAD_BYTES)
+    if chosen is None:
         return [], np.zeros(0, "i8")
-    table = short.where(level >= least).toArrow().sort_by([("n", "descending"), ("word", "ascending")])
+    table = counts.where(chosen).toArrow().sort_by([("n", "descending"), ("word", "ascending")])
     return table["word"].to_pylist(), table["n_train"].to_numpy()
 
 

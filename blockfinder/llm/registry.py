@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import counting, language, lm, media, packing, pii, quality, sharding, simhash
+from . import counting, language, lm, media, packing, pieces, pii, quality, sharding, simhash
 
 QUERIES = {
     "op1_longest_first_shards": sharding.query,
+    "op2_piece_lattice": pieces.query,
     "op3_class_ngram_scores": lm.query,
     "op4_feistel_pseudonyms": pii.query,
     "op5_compression_language": language.query,
