@@ -111,3 +111,22 @@ def forward(g: Graph, y: DataFrame, layers: tuple[int, ...], seed: int = 0, act:
         w = None if k == 0 and not first_weights else weights(rows, columns, seed, k, init)
         z = layer(g, z, w, columns, act, normalise, how)
     return z
+
+
+def layer_long(g: Graph, z: DataFrame, columns: int, rows: int, seed: int, act: str = "tanh") -> DataFrame:
+    """One layer in DataFrame functions alone, over ``z`` (id, dim, val), with weights that SQL engines share: (id, dim, val)."""
+    from ..functions.rng import gauss
+
+    own = z.join(g.nodes, "id").select("id", "dim", (F.col("val") / F.sqrt(F.col("deg") + 1.0)).alias("val"))
+    sent = g.arcs.select("src", "dst").join(own.withColumnRenamed("id", "dst"), "dst").select(F.col("src").alias("id"), "dim", "val").unionByName(own)
+    agg = sent.groupBy("id", "dim").agg(F.sum("val").alias("val"))
+    out = agg.select("id", F.col("dim").alias("row"), "val", F.explode(F.sequence(F.lit(0), F.lit(columns - 1))).alias("dim"))
+    total = out.groupBy("id", "dim").agg(F.sum(F.col("val") * gauss(seed, F.col("row"), F.col("dim")) * columns**-0.5).alias("val")).join(g.nodes, "id")
+    value = F.col("val") / F.sqrt(F.col("deg") + 1.0)
+    done = {"tanh": F.tanh(value), "relu": F.greatest(value, F.lit(0.0)), "identity": value}[act]
+    return total.select("id", "dim", done.alias("val"))
+
+
+def normalise_long(z: DataFrame) -> DataFrame:
+    size = z.groupBy("id").agg(F.sqrt(F.sum(F.col("val") * F.col("val"))).alias("size"))
+    return z.join(size, "id").select("id", "dim", F.when(F.col("size") > 0, F.col("val") / F.col("size")).otherwise(0.0).alias("val"))
