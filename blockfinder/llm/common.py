@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 
 SLICE_BYTES = 16 << 20
+LOWER = np.array([c + 32 if 0x41 <= c <= 0x5A else c for c in range(256)], np.uint8)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,8 +58,10 @@ def ascii_words(column: pa.Array, lower: bool) -> tuple[np.ndarray, pa.Array]:
     Gives the number of words of each text and all words, one after the other.
     """
     text = pc.fill_null(column.cast(pa.large_string()), "")
-    if lower:
-        text = pc.ascii_lower(text)
+    if lower and len(text):
+        offsets = np.frombuffer(text.buffers()[1], "i8")[text.offset : text.offset + len(text) + 1]
+        data = LOWER[np.frombuffer(text.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]]
+        text = pa.LargeStringArray.from_buffers(len(text), pa.py_buffer(offsets - offsets[0]), pa.py_buffer(data))
     parts = pc.ascii_split_whitespace(text)
     words = parts.flatten()
     counts = np.diff(parts.offsets.to_numpy())
