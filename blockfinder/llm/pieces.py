@@ -16,6 +16,7 @@ from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
@@ -155,38 +156,54 @@ def viterbi(edges: DataFrame, longest: int) -> DataFrame:
 
 def distinct_words(df: DataFrame, text: str, pieces: Pieces) -> DataFrame:
     """(word, n) of all texts."""
-    cut, normalise = pieces.words, pieces.normalise
 
     def rows(batches: Iterable[pa.RecordBatch]):
         for batch in batches:
-            found = pa.array(list(itertools.chain.from_iterable(cut.findall(normalise(t)) for t in batch.column(0).to_pylist())), pa.large_string()).value_counts()
+            found = cut_words(batch.column(0).to_pylist(), pieces)[1].value_counts()
             yield pa.RecordBatch.from_arrays([found.field("values").cast(pa.string()), found.field("counts")], ["word", "n"])
 
     return arrow_map(df.select(text), rows, "word string, n long", SLICE).groupBy("word").agg(F.sum("n").alias("n"))
 
 
+def cut_words(texts: list[str | None], pieces: Pieces) -> tuple[np.ndarray, pa.Array]:
+    """The number of words of each text, and all words."""
+    found = [pieces.words.findall(pieces.normalise(t)) for t in texts]
+    return np.fromiter(map(len, found), "i8", len(found)), pa.array(list(itertools.chain.from_iterable(found)), pa.string())
+
+
+def lists_flat(lists: pa.Array) -> np.ndarray:
+    return lists.flatten().to_numpy(zero_copy_only=False).astype("i4")
+
+
+def lists_starts(lists: pa.Array) -> np.ndarray:
+    """Where each list begins in the flat values."""
+    sizes = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype("i8")
+    return np.cumsum(sizes) - sizes
+
+
 def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
     """(key, text, ids, n_tokens) of every row; null and empty texts have no ids, and null stays null.
 
     Repeated rows stay. A word is held as a whole, so memory grows with the longest run without a space.
     """
     pieces = Pieces.load(path or default_path())
-    cut, normalise = pieces.words, pieces.normalise
     coded = durable(viterbi(lattice(distinct_words(df, text, pieces), pieces), pieces.longest))
     most = frequent(coded, "word", "n", HEAD, HEAD_BYTES)
     table = coded.where(most).select("word", "ids").toArrow() if most is not None else coded.limit(0).select("word", "ids").toArrow()
-    head_words, head_ids = table["word"].combine_chunks(), table["ids"].combine_chunks()
+    head_words, head_ids = table["word"].combine_chunks().cast(pa.string()), table["ids"].combine_chunks()
 
     narrow = df.select(F.col(key).alias("key"), F.xxhash64(text, F.length(text)).alias("print"), F.col(text).alias("text"))
     kind = narrow.schema["key"].dataType.simpleString()
 
     def rare(batches: Iterable[pa.RecordBatch]):
-        known = set(head_words.to_pylist())
         for batch in batches:
-            found = [(row, w) for row, t in enumerate(batch.column(2).to_pylist()) for w in set(cut.findall(normalise(t))) - known]
-            if found:
-                at, words = zip(*found, strict=True)
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at)), batch.column(1).take(pa.array(at)), pa.array(words, pa.string())], ["key", "print", "word"])
+            sizes, words = cut_words(batch.column(2).to_pylist(), pieces)
+            place = pc.index_in(words, value_set=head_words)
+            row = np.repeat(np.arange(batch.num_rows), sizes)[place.is_null().to_numpy(zero_copy_only=False)]
+            other = words.filter(place.is_null()).dictionary_encode()
+            once = np.unique(row * max(1, len(other.dictionary)) + other.indices.to_numpy())
+            row, word = (pa.array(x) for x in np.divmod(once, max(1, len(other.dictionary))))
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(row), batch.column(1).take(row), other.dictionary.take(word)], ["key", "print", "word"])
 
     def packed(batches: Iterable[pa.RecordBatch]):
         squeeze = zstandard.ZstdCompressor(level=3)
@@ -200,25 +217,24 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
 
     def assemble(batches: Iterable[pa.RecordBatch]):
         expand = zstandard.ZstdDecompressor()
-        flat, bounds = head_ids.values.to_numpy(), head_ids.offsets.to_numpy()
-        head = {w: flat[a:b].tobytes() for w, (a, b) in zip(head_words.to_pylist(), itertools.pairwise(bounds.tolist()), strict=True)}
         for batch in batches:
-            texts, ids = [], []
-            for blob, others in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
-                t = None if blob is None else expand.decompress(blob).decode()
-                words = cut.findall(normalise(t))
-                if others.is_valid and len(others):
-                    fields = others.values
-                    lists = fields.field("ids")
-                    at, of = lists.offsets.to_pylist(), lists.values.to_numpy()
-                    mine = {w: of[a:b].tobytes() for w, (a, b) in zip(fields.field("word").to_pylist(), itertools.pairwise(at), strict=True)}
-                    ids.append(b"".join([head[w] if w in head else mine[w] for w in words]))
-                else:
-                    ids.append(b"".join([head[w] for w in words]))
-                texts.append(t)
-            sizes = np.fromiter((len(x) // 4 for x in ids), "i8", len(ids))
-            lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(sizes)].astype("i4")), pa.array(np.frombuffer(b"".join(ids), "i4")))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), lists, pa.array(sizes)], ["key", "text", "ids", "n_tokens"])
+            texts = [None if blob is None else expand.decompress(blob).decode() for blob in batch.column(1).to_pylist()]
+            sizes, words = cut_words(texts, pieces)
+            coded = words.dictionary_encode()
+            others = batch.column(2).flatten()
+            rare_words, rare_ids = others.field("word").cast(pa.string()), others.field("ids")
+            here = pc.index_in(coded.dictionary, value_set=head_words)
+            there = pc.index_in(coded.dictionary, value_set=rare_words)
+            flat = np.concatenate([lists_flat(head_ids), lists_flat(rare_ids)])
+            first = np.concatenate([lists_starts(head_ids), lists_starts(rare_ids) + len(lists_flat(head_ids))])
+            long = np.concatenate([pc.list_value_length(head_ids).to_numpy(zero_copy_only=False), pc.list_value_length(rare_ids).to_numpy(zero_copy_only=False)]).astype("i8")
+            of = pc.coalesce(here, pc.add(there, len(head_words))).to_numpy(zero_copy_only=False).astype("i8")[coded.indices.to_numpy()]
+            each = long[of]
+            ends = np.cumsum(each)
+            ids = flat[np.repeat(first[of] - (ends - each), each) + np.arange(ends[-1] if len(ends) else 0)]
+            bounds = np.r_[0, ends][np.r_[0, np.cumsum(sizes)]]
+            lists = pa.ListArray.from_arrays(pa.array(bounds.astype("i4")), pa.array(ids.astype("i4")))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), lists, pa.array(np.diff(bounds))], ["key", "text", "ids", "n_tokens"])
 
     return arrow_map(both, assemble, f"key {kind}, text string, ids array<int>, n_tokens long", SLICE).withColumnsRenamed({"key": key, "text": text})
 
