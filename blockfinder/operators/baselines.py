@@ -95,6 +95,8 @@ def greedy_modularity(g: Graph, mode: str = "rounds", most_rounds: int = 200) ->
     arcs = settle(g.arcs.select(F.col("src").alias("r"), F.col("dst").alias("s"), F.lit(1).alias("e")))
     vol = settle(g.nodes.select(F.col("id").alias("r"), F.col("deg").alias("vol")))
     for _ in range(most_rounds):
+        if arcs.count() <= ONE_TASK_EDGES:
+            return named(place.join(finish_rounds(arcs, vol, total).withColumnRenamed("r", "block"), "block").select("id", F.col("to").alias("block")))
         gains = arcs.where("r <> s").join(vol, "r").join(vol.select(F.col("r").alias("s"), F.col("vol").alias("vol_s")), "s")
         gain = 2 * (F.col("e") / total - F.col("vol") / total * (F.col("vol_s") / total))
         gains = gains.select("r", "s", gain.alias("gain")).where("gain > 0")
@@ -110,6 +112,47 @@ def greedy_modularity(g: Graph, mode: str = "rounds", most_rounds: int = 200) ->
     return named(place)
 
 
+def finish_rounds(arcs: DataFrame, vol: DataFrame, total: float) -> DataFrame:
+    """(r, to): the same rounds for a contracted graph that one task can hold."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        names = np.sort(left["r"].to_numpy())
+        volume = left["vol"].to_numpy()[np.argsort(left["r"].to_numpy())].astype("f8")
+        to = np.arange(len(names))
+        if right.num_rows:
+            r, s = (np.searchsorted(names, right[c].to_numpy()) for c in ("r", "s"))
+            to = rounds_in_memory(len(names), r, s, right["e"].to_numpy().astype("f8"), volume, total)
+        return pa.table({"r": pa.array(names, pa.int64()), "to": pa.array(names[to], pa.int64())})
+
+    one = F.lit(0).alias("one")
+    return vol.select(one, "r", "vol").groupBy("one").cogroup(arcs.select(one, "r", "s", "e").groupBy("one")).applyInArrow(run, "r long, to long")
+
+
+def rounds_in_memory(n: int, r: np.ndarray, s: np.ndarray, e: np.ndarray, vol: np.ndarray, total: float, target: int = 1) -> np.ndarray:
+    """Mutual best merges, round by round, until none gains or ``target`` blocks are left. Gives each block's final one."""
+    labels = np.arange(n)
+    alive = n
+    while alive > target:
+        apart = r != s
+        cell, where = np.unique(r[apart] * n + s[apart], return_inverse=True)
+        x, y, weight = cell // n, cell % n, np.bincount(where, e[apart])
+        gain = weight / total - vol[x] * vol[y] / total**2
+        good = gain > 0
+        x, y, gain = x[good], y[good], gain[good]
+        order = np.lexsort((np.minimum(x, y) * 31 + np.maximum(x, y), gain))
+        best = np.full(n, -1)
+        best[x[order]] = y[order]
+        mutual = np.flatnonzero((best >= 0) & (best[np.maximum(best, 0)] == np.arange(n)) & (best < np.arange(n)))
+        if not len(mutual):
+            break
+        to = np.arange(n)
+        to[mutual] = best[mutual]
+        vol = np.bincount(to, vol, n)
+        labels, r, s = to[labels], to[r], to[s]
+        alive -= len(mutual)
+    return labels
+
+
 def sbm_parallel(g: Graph, seed: int = 0, rounds: int = 12, start_blocks: int | None = None) -> DataFrame:
     """Block-model inference where all nodes may move at once against frozen counts, then merges of whole blocks.
 
@@ -397,26 +440,8 @@ def infer(n: int, a: np.ndarray, b: np.ndarray, rng: np.random.Generator, beta:
 
 def merge_rounds(n: int, a: np.ndarray, b: np.ndarray, target: int) -> np.ndarray:
     """Start blocks: mutual best merges by modularity until at most ``target`` are left or none gains."""
-    labels = np.arange(n)
-    while True:
-        used, labels = np.unique(labels, return_inverse=True)
-        k = len(used)
-        if k <= target:
-            return labels
-        r, s = np.r_[labels[a], labels[b]], np.r_[labels[b], labels[a]]
-        vol = np.bincount(r, minlength=k).astype("f8")
-        cell, e = np.unique((r * k + s)[r != s], return_counts=True)
-        r, s = cell // k, cell % k
-        gain = e / len(labels[a]) / 2 - vol[r] * vol[s] / (2.0 * len(a)) ** 2
-        order = np.lexsort((np.minimum(r, s) * 31 + np.maximum(r, s), gain))
-        best = np.full(k, -1)
-        best[r[order]] = s[order]
-        mutual = np.flatnonzero((best >= 0) & (best[np.maximum(best, 0)] == np.arange(k)) & (best < np.arange(k)))
-        if not len(mutual):
-            return labels
-        to = np.arange(k)
-        to[mutual] = best[mutual]
-        labels = to[labels]
+    r, s = np.r_[a, b], np.r_[b, a]
+    return rounds_in_memory(n, r, s, np.ones(len(r)), np.bincount(r, minlength=n).astype("f8"), 2.0 * len(a), target)
 
 
 def merge_to(labels: np.ndarray, table: np.ndarray, target: int) -> np.ndarray:
