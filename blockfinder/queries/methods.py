@@ -1 +1,232 @@
+"""The methods end to end, their variants, and the methods compared with, on the given tables."""
 
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..operators import baselines, bisect, features, generator, graph, metrics, selection
+from ..plans.pipeline import partition
+from . import query
+from .tables import coorder_sql, document_lines, part_graph, planted, supplier_graph, table
+
+HARD = {"ratio": 2.5, "heterogeneity": 3.0}
+LAYERS = (256, 128, 64)
+
+
+def hard(spark, sf, seed=0):
+    return planted(spark, sf, "customer", "c_custkey", "c_nationkey", seed=seed, **HARD)
+
+
+def report(spark, name, truth, blocks, timings=None):
+    row = metrics.scores(truth, blocks)
+    times = timings or {}
+    return spark.createDataFrame(
+        [(name, row["k_true"], row["k_found"], *[float(row[c]) for c in ("acc", "ari", "f1", "recall", "precision")], *[float(times.get(c, 0.0)) for c in ("features", "embedding", "selection", "total")])],
+        "method string, k_true long, k_found long, acc double, ari double, f1 double, recall double, precision double, feat_s double, emb_s double, select_s double, total_s double",
+    )
+
+
+@query(f"SELECT DISTINCT n AS id, (SELECT min(least(src, dst)) FROM ({coorder_sql('l_suppkey')})) AS block FROM (SELECT src AS n FROM ({coorder_sql('l_suppkey')}) UNION SELECT dst FROM ({coorder_sql('l_suppkey')}))")
+def partition_complete_supplier(spark, sf):
+    """Suppliers that share an order are a complete graph at small scale: one block, whatever the embedding."""
+    return partition(supplier_graph(spark, sf), "cut", (16, 8)).blocks.select("id", "block")
+
+
+@query("SELECT c_custkey AS id, min(c_custkey) OVER (PARTITION BY c_mktsegment) AS block FROM customer")
+def partition_planted_separated(spark, sf):
+    """Five market segments, well apart: each is found exactly."""
+    _, g = planted(spark, sf, "customer", "c_custkey", "c_mktsegment", ratio=12.0, mean_degree=40.0)
+    return partition(g, "cut", LAYERS).blocks.select("id", "block")
+
+
+@query()
+def partition_planted_hard_cut(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "cut", LAYERS)
+    return report(spark, "cut", p.nodes, r.blocks, r.timings)
+
+
+@query()
+def partition_planted_hard_mod(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "mod", LAYERS)
+    return report(spark, "mod", p.nodes, r.blocks, r.timings)
+
+
+@query()
+def partition_dense_modularity(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "mod_full", LAYERS)
+    return report(spark, "mod_full", p.nodes, r.blocks, r.timings)
+
+
+@query()
+def partition_no_features(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "cut", LAYERS, ablation="no_features")
+    return report(spark, "cut, no features", p.nodes, r.blocks, r.timings)
+
+
+@query()
+def partition_no_embedding(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "cut", LAYERS, ablation="no_embedding")
+    return report(spark, "cut, no embedding", p.nodes, r.blocks, r.timings)
+
+
+@query()
+def partition_scope_subset(spark, sf):
+    """The stopping score as it is printed: splits go on to the size floor."""
+    p, g = hard(spark, sf)
+    return report(spark, "cut, scope subset", p.nodes, partition(g, "cut", LAYERS, null_scope="subset").blocks)
+
+
+@query()
+def partition_scope_induced(spark, sf):
+    p, g = hard(spark, sf)
+    return report(spark, "cut, scope induced", p.nodes, partition(g, "cut", LAYERS, null_scope="induced").blocks)
+
+
+@query()
+def partition_nested_regions(spark, sf):
+    """The tree of a hard graph: sets and cuts of each level."""
+    _, g = hard(spark, sf)
+    return partition(g, "mod", LAYERS).tree.groupBy(F.length("path").alias("level")).agg(F.count(F.lit(1)).alias("sets"), F.sum("n").alias("nodes"), F.sum(F.when(F.col("verdict") == "split", F.col("cut")).otherwise(0)).alias("cut"))
+
+
+@query()
+def partition_documents(spark, sf):
+    """Documents that share lines, with each block's labels."""
+    g = graph.build(graph.shared_pairs(document_lines(spark, sf), F.col("doc_id"), F.col("line"), 50))
+    blocks = partition(g, "cut", (64, 32, 16), eps=1).blocks
+    labels = table(spark, sf, "labels")
+    return blocks.join(labels, blocks["id"] == labels["doc_id"], "left").groupBy("block").agg(F.count(F.lit(1)).alias("documents"), F.round(F.avg("quality"), 6).alias("quality"), F.sum("toxic").alias("toxic"))
+
+
+@query()
+def partition_parts_null_control(spark, sf):
+    """Parts that share orders have no planted communities: blocks found and their modularity."""
+    g = part_graph(spark, sf)
+    blocks = partition(g, "mod", LAYERS).blocks
+    return metrics.modularity_df(g, blocks).select(F.lit(blocks.select("block").distinct().count()).alias("blocks"), F.round("modularity", 6).alias("modularity"))
+
+
+@query()
+def partition_embeddings_given(spark, sf):
+    """Model selection on vectors that are given, over a graph of equal labels' neighbours in id order."""
+    rows = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"), "label")
+    from pyspark.sql import Window
+
+    nearby = rows.withColumn("b", F.lead("id").over(Window.partitionBy("label").orderBy("id"))).where("b is not null").select(F.col("id").alias("a"), "b")
+    g = graph.build(nearby, rows.select("id"))
+    blocks, _ = selection.hierarchical(g, rows.select("id", "v"))
+    return blocks.select("id", "block")
+
+
+@query()
+def kmeans_fixed_k(spark, sf):
+    p, g = hard(spark, sf)
+    r = partition(g, "cut", LAYERS)
+    return report(spark, "K-means, K given", p.nodes, bisect.k_means(r.embedding.select("id", "v"), 25))
+
+
+@query()
+def distortion_embeddings(spark, sf):
+    """Squared distances after projection of given vectors, against those before, for three widths."""
+    from ..functions.rng import gauss_block
+    from ..operators.kernels import matrix, vectors
+
+    import pyarrow as pa
+
+    rows = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    out = None
+    for width in (8, 16, 32):
+
+        def run(batches, width=width):
+            import numpy as np
+
+            theta = gauss_block(5, np.arange(64), width) * width**-0.5
+            for b in batches:
+                if b.num_rows:
+                    yield pa.RecordBatch.from_arrays([b.column(0), vectors(matrix(b.column(1), 64) @ theta)], ["id", "v"])
+
+        one = metrics.distortion(rows.mapInArrow(run, "id long, v array<float>"), rows).select(F.lit(width).alias("width"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def distortion_features(spark, sf):
+    """Distances of narrow features against wide ones, for both structure matrices."""
+    _, g = hard(spark, sf)
+    out = None
+    for kind in ("cut", "mod"):
+        wide = features.project(g, kind, 1024, 1)
+        for width in (32, 128):
+            one = metrics.distortion(features.project(g, kind, width, 2), wide, 500).select(F.lit(kind).alias("kind"), F.lit(width).alias("width"), "*")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+def fidelity(spark, sf, method):
+    nodes = table(spark, sf, "customer").select(F.col("c_custkey").alias("id"), F.col("c_nationkey").alias("b"))
+    p = generator.benchmark_params(nodes, mean_degree=30.0, block="b", simple=False)
+    made = generator.sample(p, method, 3, simple=False)
+    weight = F.sum("weight") if "weight" in made.columns else F.count(F.lit(1))
+    one, two = p.nodes.select(F.col("id").alias("src"), F.col("block").alias("x")), p.nodes.select(F.col("id").alias("dst"), F.col("block").alias("y"))
+    seen = made.join(one, "src").join(two, "dst").groupBy(F.least("x", "y").alias("r"), F.greatest("x", "y").alias("s")).agg(weight.alias("edges"))
+    return generator.rates_df(p).join(seen, ["r", "s"], "left").select("r", "s", F.coalesce("edges", F.lit(0)).alias("edges"), F.round("mass", 6).alias("expected"))
+
+
+for kind in ("skip", "split", "rewired"):
+    query(name=f"planted_{kind}")(lambda spark, sf, kind=kind: fidelity(spark, sf, kind))
+
+
+@query()
+def planted_plain(spark, sf):
+    """Without degree correction."""
+    nodes = table(spark, sf, "customer").select(F.col("c_custkey").alias("id"))
+    return generator.sample(generator.benchmark_params(nodes, k=5, degree_corrected=False), "skip", 1)
+
+
+@query()
+def planted_source(spark, sf):
+    """The generator as a data source."""
+    from ..sources.planted import register
+
+    register(spark)
+    return spark.read.format("planted").option("nodes", 2000).option("blocks", 8).option("seed", 4).load()
+
+
+def against(name, method):
+    def run(spark, sf):
+        p, g = hard(spark, sf)
+        return report(spark, name, p.nodes, method(g))
+
+    return run
+
+
+for name, method in {
+    "base_sbm_mcmc": lambda g: baselines.sbm_mcmc(g),
+    "base_sbm_mcmc_top_down": lambda g: baselines.sbm_mcmc(g, strategy="top_down"),
+    "base_sbm_mcmc_sampled": lambda g: baselines.sbm_mcmc(g, sample_fraction=0.5),
+    "base_greedy_modularity": lambda g: baselines.greedy_modularity(g),
+    "base_greedy_modularity_exact": lambda g: baselines.greedy_modularity(g, "exact"),
+    "base_spectral_modularity": lambda g: baselines.spectral_modularity(g),
+    "base_sbm_parallel": lambda g: baselines.sbm_parallel(g),
+    "base_bp_modularity": lambda g: baselines.belief_propagation(g),
+    "base_bp_sbm": lambda g: baselines.belief_propagation(g, "sbm"),
+    "base_spectral_k": lambda g: baselines.spectral_clustering(g, 25),
+    "base_label_propagation": lambda g: baselines.label_propagation(g),
+    "base_single": lambda g: baselines.trivial(g, "single"),
+    "base_halves": lambda g: baselines.trivial(g, "halves"),
+}.items():
+    query(name=name)(against(name, method))
+
+PARTS = coorder_sql("l_partkey")
+
+
+@query(f"SELECT n AS id, min(n) OVER () AS block FROM (SELECT src AS n FROM ({PARTS}) UNION SELECT dst FROM ({PARTS}))")
+def base_components(spark, sf):
+    """The part graph hangs together."""
+    return baselines.components(part_graph(spark, sf))
