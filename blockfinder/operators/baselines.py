@@ -36,7 +36,7 @@ def in_one_task(g: Graph, method: Callable[[int, np.ndarray, np.ndarray], np.nda
     if g.m > ONE_TASK_EDGES:
         raise ValueError(f"{g.m} edges; this method runs in one task and takes at most {ONE_TASK_EDGES}")
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+    def run(left, right):
         ids = np.sort(left["id"].to_numpy())
         a, b = (np.searchsorted(ids, right[c].to_numpy()) if right.num_rows else np.zeros(0, "i8") for c in ("src", "dst"))
         labels = method(len(ids), a, b) if len(ids) else np.zeros(0, "i8")
@@ -115,7 +115,7 @@ def greedy_modularity(g: Graph, mode: str = "rounds", most_rounds: int = 200) ->
 def finish_rounds(arcs: DataFrame, vol: DataFrame, total: float) -> DataFrame:
     """(r, to): the same rounds for a contracted graph that one task can hold."""
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+    def run(left, right):
         names = np.sort(left["r"].to_numpy())
         volume = left["vol"].to_numpy()[np.argsort(left["r"].to_numpy())].astype("f8")
         to = np.arange(len(names))

@@ -92,7 +92,7 @@ def fit_sets(assign: DataFrame, open_sets: DataFrame, rows: int, **how) -> DataF
     draw = F.pmod(F.xxhash64(F.lit(seed), "path", "id"), F.lit(1 << 20)) / float(1 << 20)
     chosen = assign.join(F.broadcast(open_sets.select("path", "n")), "path").where((F.col("n") <= rows) | (draw < rate)).select("path", "id", "v")
 
-    def one(key, table: pa.Table) -> pa.Table:
+    def one(key, table):
         v = table["v"].combine_chunks()
         z = v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), -1)
         w, b = fit(z, table["id"].to_numpy(), **how)

@@ -127,7 +127,7 @@ def finish_sets(nodes: DataFrame, edges: DataFrame, total: int, eps: int, null_s
     columns = ["n", "vol", "m_in", "cut", "verdict", "w", "b"]
     kinds = [pa.int64()] * 4 + [pa.string(), pa.list_(pa.float64()), pa.float64()]
 
-    def one(key, left: pa.Table, right: pa.Table) -> pa.Table:
+    def one(key, left, right):
         v = left["v"].combine_chunks()
         ids = left["id"].to_numpy()
         order = np.argsort(ids)
