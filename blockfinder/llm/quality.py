@@ -61,13 +61,15 @@ class Slice:
             for k in range(n):
                 h = h * np.uint32(0x01000193) + data[k : k + len(h)]
             h = (h ^ (h >> np.uint32(15))) * np.uint32(0x85EBCA6B)
-            yield (h >> np.uint32(8)) & mask, self.starts, self.starts + np.maximum(0, self.sizes - n + 1)
+            first = np.minimum(self.starts, len(h))
+            yield (h >> np.uint32(8)) & mask, first, first + np.maximum(0, self.sizes - n + 1)
         own = np.fromiter((zlib.crc32(w.encode()) for w in self.distinct), np.uint32, len(self.distinct))[self.codes] if len(self.codes) else np.zeros(0, np.uint32)
         ends = np.cumsum(self.n_words)
         yield (own * np.uint32(0x9E3779B1) >> np.uint32(7)) & mask, ends - self.n_words, ends
         both = own[:-1] * np.uint32(0x85EBCA6B) + own[1:] * np.uint32(0xC2B2AE35)
         # A word after itself is one feature, whichever word it is.
-        yield np.where(own[:-1] == own[1:], np.uint32(0), (both >> np.uint32(9)) & mask), ends - self.n_words, np.maximum(ends - 1, ends - self.n_words)
+        first = np.minimum(ends - self.n_words, len(both))
+        yield np.where(own[:-1] == own[1:], np.uint32(0), (both >> np.uint32(9)) & mask), first, first + np.maximum(0, self.n_words - 1)
 
 
 def sparse(part: Slice) -> list[tuple[np.ndarray, np.ndarray]]:
