@@ -157,7 +157,7 @@ def exchange(pairs: np.ndarray, classes: int = CLASSES, sweeps: int = SWEEPS) ->
             grid[:, old] -= left
             grid[old] -= right
             grid[old, old] -= own
-            ins, outs = grid.sum(axis=0), grid.sum(axis=1)
+            ins, outs = grid.sum(axis=0) + right, grid.sum(axis=1) + left  # its own pairs count wherever it goes
             gain = (x_log_x(grid + right) - x_log_x(grid)).sum(axis=1) + (x_log_x(grid + left[:, None]) - x_log_x(grid)).sum(axis=0)
             corner = np.diagonal(grid)
             gain += x_log_x(corner + left + right + own) - x_log_x(corner + left) - x_log_x(corner + right) + x_log_x(corner)
