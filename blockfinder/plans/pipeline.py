@@ -11,7 +11,7 @@ from ..operators import features, gnn, selection
 from ..operators.graph import Graph
 from .state import settle
 
-LAYERS = (256, 128, 64)
+LAYERS = (256, 128, 128, 64)
 
 
 @dataclass(frozen=True)
