@@ -20,6 +20,11 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def making_room(df: DataFrame, added: list[str]) -> DataFrame:
+    """``df`` without columns whose names are to be added: what is new takes their place."""
+    return df.drop(*[c for c in added if c in df.columns])
+
+
 def durable(df: DataFrame) -> DataFrame:
     """Cut the lineage of ``df`` with a reliable checkpoint in the folder that the cluster shares.
 

@@ -15,7 +15,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, as_bytes, crc_text, documents
+from .common import arrow_map, as_bytes, crc_text, documents, making_room
 
 DICTIONARY_BYTES = 32 << 10  # of sampled text for each language
 PIECE_CHARS = 1024  # most that one sampled text gives to a dictionary
@@ -100,8 +100,9 @@ def identify(df: DataFrame, dictionaries: dict[str, bytes], text: str = "text",
     ``und``, with score 0 and rejected, for null, for texts without a letter and if nothing was learned. A score of at
     most ``narrow`` rejects too, but lang_pred still names the best language.
     """
-    at = df.columns.index(text)
     added = [f"{prefix}{n}" for n in ("lang_pred", "score", "rejected")]
+    df = making_room(df, added)
+    at = df.columns.index(text)
     names = [*df.columns, *added]
 
     def rows(batches: Iterable[pa.RecordBatch]):

@@ -22,7 +22,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, crc_text, documents, durable, frequent
+from .common import arrow_map, crc_text, documents, durable, frequent, making_room
 
 SPACE = "▁"  # fixed value: how the vocabulary writes a space
 BLOCK = 64  # positions that are folded over the same edges
@@ -246,6 +246,7 @@ def decode(df: DataFrame, ids: str = "ids", out: str = "decoded", path: str | No
     """
     pieces = Pieces.load(path or default_path())
     table = pieces.as_bytes
+    df = making_room(df, [out])
     at, names = df.columns.index(ids), [*df.columns, out]
 
     def rows(batches: Iterable[pa.RecordBatch]):

@@ -17,7 +17,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import arrow_map, documents
+from .common import arrow_map, documents, making_room
 
 #: For tests and trials; give a secret key of your own in production.
 TRIAL_KEY = b"trial key, not for production"
@@ -245,6 +245,7 @@ def pseudonymise(df: DataFrame, key: bytes = TRIAL_KEY, text: str = "text", inve
     Adds the number of values replaced and their spans in the old text (kind, start, end, in characters). Null stays
     null and has none. ``inverse`` gives the old text back from a new one.
     """
+    df = making_room(df, [f"{prefix}values", f"{prefix}spans"])
     at = df.columns.index(text)
     names = [*df.columns, f"{prefix}values", f"{prefix}spans"]
 

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, as_bytes, ascii_words, documents
+from .common import arrow_map, as_bytes, ascii_words, documents, making_room
 
 BITS = 18
 SAMPLE_ROWS = 1800  # labelled rows that are learned from, two thirds for the weights and one for the calibration
@@ -205,7 +205,9 @@ def judge(df: DataFrame, model: Model | None, text: str = "text", keep_from: flo
     the calibrated probability ``quality`` is at least ``keep_from``. Without a model, quality is null and the base
     rules decide. ``prefix`` goes before the names of new columns, so that they can't clash.
     """
-    at = df.columns.index(text)
+    added = [prefix + x.split()[0] for x in VERDICT.split(", ")]
+    df = making_room(df, added)
+    at, names = df.columns.index(text), [*df.columns, *added]
 
     def rows(batches):
         for batch in batches:
@@ -222,8 +224,6 @@ def judge(df: DataFrame, model: Model | None, text: str = "text", keep_from: flo
             columns = [*[pa.array(x, k) for x, k in zip(new, kinds, strict=True)], pa.array(chance, pa.float64()) if chance is not None else pa.nulls(len(failed), pa.float64()), pa.array(kept)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *columns], names)
 
-    added = [prefix + x.split()[0] for x in VERDICT.split(", ")]
-    names = [*df.columns, *added]
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields] + [f"`{n}` {x.split()[1]}" for n, x in zip(added, VERDICT.split(", "), strict=True)]
     return arrow_map(df, rows, ", ".join(fields), SLICE)
 
