@@ -275,7 +275,7 @@ def op_grouped_map(spark, sf):
 
         v = rows["embedding"].combine_chunks()
         z = v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), -1).astype(np.float64)
-        return pa.table({"label": [key[0].as_py()], "n": [len(v)], "first": [float(z[:, 0].mean())]})
+        return pa.table({"label": pa.array([key[0].as_py()], pa.int32()), "n": [len(v)], "first": [float(z[:, 0].mean())]})
 
     out = table(spark, sf, "embeddings").groupBy("label").applyInArrow(mean, "label int, n long, first double")
     return out.select("label", "n", (F.round("first", 5) + 0.0).alias("first"))
