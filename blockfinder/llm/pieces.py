@@ -1,10 +1,11 @@
 """SentencePiece encoding and decoding as a relational lattice.
 
-Texts are cut into words that no piece of the vocabulary crosses. For the distinct words of the whole table, substrings
+Texts are cut into words that no piece of the vocabulary crosses: between two characters that no piece has side by side. For the distinct words of the whole table, substrings
 up to the longest piece's length are exploded and joined to the piece table; a word's matches are the edges of its
 lattice. They are grouped by word, and a fold over the positions keeps, for each, the best way to it (Viterbi); the way
-back gives the word's ids. Frequent words, a bounded number, are then looked up in place; a text's other words are
-joined to their ids and meet the text again by its key.
+back gives the word's ids. The words are dealt out once, finely enough for a task to hold its lattices in memory; edges
+stay where their word is. Frequent words, a bounded number, are then looked up in place; a text's other words are joined
+to their ids and meet the text again by a hash of its key and itself.
 """
 
 from __future__ import annotations
@@ -17,20 +18,21 @@ from functools import cached_property
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-import regex
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, crc_text, documents, durable, frequent, making_room
+from .common import arrow_map, crc_text, documents, frequent, making_room, written
 
 SPACE = "▁"  # fixed value: how the vocabulary writes a space
 BLOCK = 64  # positions that are folded over the same edges
-HEAD = 1 << 19  # most words that are looked up in place
+HEAD = 1 << 18  # most words that are looked up in place
 HEAD_BYTES = 48
 UNKNOWN_COST = 10.0  # below the least score of a piece, for each character that no piece has
 NO_PIECE = -1e8  # scores below this mark pieces that are never preferred
-SLICE = 4 << 20
+SLICE = 1 << 20
+PACKED_SLICE = 1 << 19
+WORDS_A_TASK = 8192
 
 
 @dataclass
@@ -62,13 +64,16 @@ class Pieces:
         return min(s for s, n in zip(self.score, self.normal, strict=True) if n and s > NO_PIECE)
 
     @cached_property
-    def words(self) -> regex.Pattern:
-        """Words that no piece crosses: spaces and the letters behind them, or one character that no longer piece has."""
-        long = [t for t, n in zip(self.text, self.normal, strict=True) if n and len(t) > 1]
-        if any(a != SPACE and b == SPACE for t in long for a, b in itertools.pairwise(t)):
-            raise ValueError("a piece has a space behind a letter")
-        joined = "".join(regex.escape(c, special_only=False) for c in sorted({c for t in long for c in t} - {SPACE}))
-        return regex.compile(f"{SPACE}*[{joined}]+|{SPACE}+|." if joined else f"{SPACE}+|.", regex.DOTALL)
+    def neighbours(self) -> tuple[np.ndarray, np.ndarray]:
+        """Each code point's class (0: in no longer piece), and which classes some piece has side by side."""
+        long = [np.frombuffer(t.encode("utf-32-le"), "u4") for t, n in zip(self.text, self.normal, strict=True) if n and len(t) > 1]
+        chars = np.unique(np.concatenate(long)) if long else np.zeros(0, "u4")
+        kind = np.zeros(0x110000, "i4")
+        kind[chars] = np.arange(1, len(chars) + 1)
+        meet = np.zeros((len(chars) + 1, len(chars) + 1), bool)
+        for t in long:
+            meet[kind[t[:-1]], kind[t[1:]]] = True
+        return kind, meet
 
     def table(self, spark: SparkSession) -> DataFrame:
         rows = [(t, i, s) for i, (t, s, n) in enumerate(zip(self.text, self.score, self.normal, strict=True)) if n]
@@ -117,34 +122,31 @@ def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
 def viterbi(edges: DataFrame, longest: int) -> DataFrame:
     """The best way through each word's lattice: (word, n, ids).
 
-    The fold goes over blocks of positions, so that its work grows with a word's length alone; it carries the scores of
-    the last ``longest`` positions and, for each position, where its best edge starts and which ids that has. Of equal
+    The fold goes over blocks of positions and carries only the last ``longest`` of them from block to block, next to the
+    list of each position's best score, where its last edge starts and which ids that has. Of equal
     ways the one with the shorter last piece is taken.
     """
     block = F.floor((F.col("stop") - 1) / BLOCK).cast("int")
     blocks = edges.groupBy("word", "n", "length", block.alias("block")).agg(F.collect_list(F.struct("start", "stop", "score", "ids")).alias("edges"))
     words = blocks.groupBy("word", "n", "length").agg(F.array_sort(F.collect_list(F.struct("block", "edges"))).alias("blocks"))
-    best = "array<struct<start:int,ids:array<int>>>"
-    start = F.struct(F.concat(F.array_repeat(F.lit(float("-inf")), longest - 1), F.array(F.lit(0.0))).alias("last"), F.array().cast(f"array<{best}>").alias("best"))
+    ways = "array<struct<score:double,start:int,ids:array<int>>>"
+    begin = F.array(F.struct(F.lit(0.0), F.lit(0), F.array().cast("array<int>"))).cast(ways)
+    state = F.struct(begin.alias("last"), F.array().cast(ways).alias("best"))
 
     def over_block(state, part):
-        def over_position(inner, stop):
-            ways = F.transform(
-                F.filter(part["edges"], lambda e: e["stop"] == stop),
-                lambda e: F.struct((F.element_at(inner["last"], e["start"] - stop) + e["score"]).alias("score"), e["start"].alias("start"), e["ids"].alias("ids")),
-            )
-            return F.aggregate(
-                F.array(F.array_max(ways)),
-                inner,
-                lambda held, way: F.struct(F.slice(F.concat(held["last"], F.array(way["score"])), 2, longest).alias("last"), F.concat(held["best"], F.array(F.struct(way["start"], way["ids"]))).cast(best).alias("best")),
-            )
-
-        first = part["block"] * BLOCK
-        stops = F.sequence(first + 1, F.array_max(F.transform(part["edges"], lambda e: e["stop"])))
-        own = F.aggregate(stops, F.struct(state["last"].alias("last"), F.array().cast(best).alias("best")), over_position)
-        return F.aggregate(F.array(own), state, lambda held, o: F.struct(o["last"].alias("last"), F.concat(held["best"], F.array(o["best"])).alias("best")))
-
-    folded = words.select("word", "n", "length", F.flatten(F.aggregate("blocks", start, over_block)["best"]).alias("best"))
+        def over_position(known, stop):
+            here = F.filter(part["edges"], lambda e: e["stop"] == stop)
+            return F.concat(known, F.array(F.array_max(F.transform(here, lambda e: F.struct((F.element_at(known, e["start"] - stop)["score"] + e["score"]).alias("score"), e["start"].alias("start"), e["ids"].alias("ids")))))).cast(ways)
+
+        stops = F.sequence(part["block"] * BLOCK + 1, F.array_max(F.transform(part["edges"], lambda e: e["stop"])))
+        known = F.aggregate(stops, state["last"], over_position)
+        return F.aggregate(
+            F.array(known),
+            state,
+            lambda held, all_: F.struct(F.slice(all_, F.greatest(F.lit(1), F.size(all_) - longest + 1), longest).alias("last"), F.concat(held["best"], F.slice(all_, F.size(held["last"]) + 1, F.size(all_))).alias("best")),
+        )
+
+    folded = words.select("word", "n", "length", F.aggregate("blocks", state, over_block)["best"].alias("best"))
 
     def step_back(state, stop):
         edge = F.element_at(state["best"], stop)
@@ -167,8 +169,21 @@ def distinct_words(df: DataFrame, text: str, pieces: Pieces) -> DataFrame:
 
 def cut_words(texts: list[str | None], pieces: Pieces) -> tuple[np.ndarray, pa.Array]:
     """The number of words of each text, and all words."""
-    found = [pieces.words.findall(pieces.normalise(t)) for t in texts]
-    return np.fromiter(map(len, found), "i8", len(found)), pa.array(list(itertools.chain.from_iterable(found)), pa.string())
+    kind, meet = pieces.neighbours
+    whole = [pieces.normalise(t) for t in texts]
+    sizes = np.fromiter(map(len, whole), "i8", len(whole))
+    first = np.cumsum(sizes) - sizes
+    joined = "".join(whole)
+    points = np.frombuffer(joined.encode("utf-32-le"), "u4")
+    kinds = kind[points]
+    begins = np.ones(len(points), bool)
+    begins[1:] = ~meet[kinds[:-1], kinds[1:]]
+    begins[first[sizes > 0]] = True
+    places = np.flatnonzero(begins)
+    width = (points > 0x7F).astype("u1") + (points > 0x7FF) + (points > 0xFFFF) + np.uint8(1)
+    offsets = np.r_[0, np.cumsum(np.add.reduceat(width, places, dtype="i8"))] if len(places) else np.zeros(1, "i8")
+    words = pa.LargeStringArray.from_buffers(len(places), pa.py_buffer(offsets), pa.py_buffer(joined.encode()))
+    return np.searchsorted(places, first + sizes) - np.searchsorted(places, first), words
 
 
 def lists_flat(lists: pa.Array) -> np.ndarray:
@@ -187,33 +202,37 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     Repeated rows stay. A word is held as a whole, so memory grows with the longest run without a space.
     """
     pieces = Pieces.load(path or default_path())
-    coded = durable(viterbi(lattice(distinct_words(df, text, pieces), pieces), pieces.longest))
+    words = written(distinct_words(df, text, pieces))
+    dealt = words.repartition(max(1, -(-words.count() // WORDS_A_TASK)), "word")
+    coded = written(viterbi(lattice(dealt, pieces), pieces.longest))
     most = frequent(coded, "word", "n", HEAD, HEAD_BYTES)
     table = coded.where(most).select("word", "ids").toArrow() if most is not None else coded.limit(0).select("word", "ids").toArrow()
-    head_words, head_ids = table["word"].combine_chunks().cast(pa.string()), table["ids"].combine_chunks()
+    head_words, head_ids = table["word"].combine_chunks().cast(pa.large_string()), table["ids"].combine_chunks()
 
-    narrow = df.select(F.col(key).alias("key"), F.xxhash64(text, F.length(text)).alias("print"), F.col(text).alias("text"))
+    # Should two texts share a print, each finds the other's words beside its own, which does no harm.
+    narrow = df.select(F.col(key).alias("key"), F.xxhash64(key, text).alias("print"), F.col(text).alias("text"))
     kind = narrow.schema["key"].dataType.simpleString()
 
     def rare(batches: Iterable[pa.RecordBatch]):
         for batch in batches:
-            sizes, words = cut_words(batch.column(2).to_pylist(), pieces)
+            sizes, words = cut_words(batch.column(1).to_pylist(), pieces)
             place = pc.index_in(words, value_set=head_words)
             row = np.repeat(np.arange(batch.num_rows), sizes)[place.is_null().to_numpy(zero_copy_only=False)]
             other = words.filter(place.is_null()).dictionary_encode()
             once = np.unique(row * max(1, len(other.dictionary)) + other.indices.to_numpy())
             row, word = (pa.array(x) for x in np.divmod(once, max(1, len(other.dictionary))))
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(row), batch.column(1).take(row), other.dictionary.take(word)], ["key", "print", "word"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(row), other.dictionary.take(word).cast(pa.string())], ["print", "word"])
 
     def packed(batches: Iterable[pa.RecordBatch]):
         squeeze = zstandard.ZstdCompressor(level=3)
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([None if t is None else squeeze.compress(t.encode()) for t in batch.column(2).to_pylist()], pa.binary())], ["key", "print", "packed"])
 
-    own = arrow_map(narrow, rare, f"key {kind}, print long, word string", SLICE).join(coded.select("word", "ids"), "word")
-    own = own.groupBy("key", "print").agg(F.collect_set(F.struct("word", "ids")).alias("rare"))
+    others = coded if most is None else coded.where(~most)
+    own = arrow_map(narrow.select("print", "text"), rare, "print long, word string", SLICE).join(others.select("word", "ids"), "word")
+    own = own.groupBy("print").agg(F.collect_set(F.struct("word", "ids")).alias("rare"))
     texts = arrow_map(narrow, packed, f"key {kind}, print long, packed binary", SLICE)
-    both = texts.alias("t").join(own.alias("r"), F.col("t.key").eqNullSafe(F.col("r.key")) & (F.col("t.print") == F.col("r.print")), "left").select("t.key", "t.packed", "r.rare")
+    both = texts.alias("t").join(own.alias("r"), F.col("t.print") == F.col("r.print"), "left").select("t.key", "t.packed", "r.rare")
 
     def assemble(batches: Iterable[pa.RecordBatch]):
         expand = zstandard.ZstdDecompressor()
@@ -222,7 +241,7 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
             sizes, words = cut_words(texts, pieces)
             coded = words.dictionary_encode()
             others = batch.column(2).flatten()
-            rare_words, rare_ids = others.field("word").cast(pa.string()), others.field("ids")
+            rare_words, rare_ids = others.field("word").cast(pa.large_string()), others.field("ids")
             here = pc.index_in(coded.dictionary, value_set=head_words)
             there = pc.index_in(coded.dictionary, value_set=rare_words)
             flat = np.concatenate([lists_flat(head_ids), lists_flat(rare_ids)])
@@ -236,7 +255,7 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
             lists = pa.ListArray.from_arrays(pa.array(bounds.astype("i4")), pa.array(ids.astype("i4")))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), lists, pa.array(np.diff(bounds))], ["key", "text", "ids", "n_tokens"])
 
-    return arrow_map(both, assemble, f"key {kind}, text string, ids array<int>, n_tokens long", SLICE).withColumnsRenamed({"key": key, "text": text})
+    return arrow_map(both, assemble, f"key {kind}, text string, ids array<int>, n_tokens long", PACKED_SLICE).withColumnsRenamed({"key": key, "text": text})
 
 
 def decode(df: DataFrame, ids: str = "ids", out: str = "decoded", path: str | None = None) -> DataFrame:
