@@ -27,14 +27,15 @@ from .common import arrow_map, crc_text, documents, frequent, making_room, writt
 
 SPACE = "▁"  # fixed value: how the vocabulary writes a space
 BLOCK = 64  # positions that are folded over the same edges
-HEAD = 1 << 18  # most words that are looked up in place
+HEAD = 1 << 19  # most words that are looked up in place
 HEAD_BYTES = 48
 UNKNOWN_COST = 10.0  # below the least score of a piece, for each character that no piece has
 NO_PIECE = -1e8  # scores below this mark pieces that are never preferred
-SLICE = 2 << 20
-PACKED_SLICE = 1 << 19
+SLICE = 3 << 20
+PACKED_SLICE = 1 << 20
 WORDS_A_TASK = 8192
 MARKS = 1 << 22
+FACTORS = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D], "u4")
 NO_ID = -1
 FIRST = 4  # characters that tell how long a piece that begins with them can be
 
@@ -106,10 +107,11 @@ class Pieces:
 
 def mark(*kinds: np.ndarray) -> np.ndarray:
     """The place of a sequence of classes among ``MARKS``."""
-    code = kinds[0].astype("u8")
-    for k in kinds[1:]:
-        code = (code << np.uint64(21)) | k
-    return (code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(65 - MARKS.bit_length())
+    code = kinds[0] * FACTORS[0]
+    for k, factor in zip(kinds[1:], FACTORS[1:], strict=False):
+        code += k * factor
+    code >>= np.uint32(33 - MARKS.bit_length())
+    return code
 
 
 def default_path() -> str:
@@ -163,7 +165,7 @@ def viterbi(edges: DataFrame, pieces: Pieces) -> DataFrame:
             here = F.filter(part["edges"], lambda e: e["stop"] == stop)
             return F.concat(known, F.array(F.array_max(F.transform(here, lambda e: F.struct((F.element_at(known, e["start"] - stop)["score"] + e["score"]).alias("score"), e["start"].alias("start"), e["id"].alias("id")))))).cast(ways)
 
-        stops = F.sequence(part["block"] * BLOCK + 1, F.array_max(F.transform(part["edges"], lambda e: e["stop"])))
+        stops = F.sequence(part["block"] * BLOCK + 1, F.least(F.col("length"), (part["block"] + 1) * BLOCK))
         known = F.aggregate(stops, state["last"], over_position)
         return F.aggregate(
             F.array(known),
