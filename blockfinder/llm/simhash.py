@@ -232,7 +232,12 @@ def one_of_each(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> Da
 
     Repeated rows of an id count once. Rows without an id can't be told apart by it and stay.
     """
-    found = near_copies(docs, words=words, radius=radius).where("doc_id is not null")
+    return least_of_each(docs, near_copies(docs, words=words, radius=radius))
+
+
+def least_of_each(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """The rows of ``docs`` whose id is the least one of its group in ``found`` (doc_id, component_id)."""
+    found = found.where("doc_id is not null")
     ids = durable(found.groupBy("doc_id").agg(F.min("component_id").alias("__least"), F.count(F.lit(1)).alias("__n")).where("doc_id = __least").select("doc_id", "__n"))
     kept = docs.join(ids, "doc_id").select(*docs.columns, "__n")
     out = kept.where("__n = 1")
