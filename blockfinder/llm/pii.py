@@ -157,11 +157,15 @@ def social(text: str, key: bytes, inverse: bool) -> str | None:
     return permute_text(text, key, "social", (DIGITS,), inverse, valid) if valid(text) else None
 
 
+#: Country codes by their first digits: one digit, two, or else three.
+COUNTRY = re.compile(r"\+(?:[17]|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|\d{3})")
+
+
 def phone(text: str, key: bytes, inverse: bool) -> str | None:
     """The country code stays."""
     if not 7 <= len(only_digits(text)) <= 15:
         return None
-    lead = re.match(r"\+\d{1,3}(?=\D)", text)
+    lead = re.match(r"\+\d{1,3}(?=\D)", text) or COUNTRY.match(text)
     cut = lead.end() if lead else 0
     return text[:cut] + permute_text(text[cut:], key, f"phone{text[:cut]}", (DIGITS,), inverse)
 
@@ -188,7 +192,7 @@ PATTERNS: dict[str, tuple[str, Callable]] = {
     "date": (r"(?<![\w.-])(?:\d{4}([-/.])\d{1,2}\1\d{1,2}|\d{1,2}([-/.])\d{1,2}\2\d{4})(?![\w-]|\.\d)", date),
     "social": (r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])", social),
     "card": (r"(?<![\w.-])\d(?:[ -]?\d){12,18}(?![\w-])", card),
-    "phone": (r"(?<![\w.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?\d{3,4}[ .-]\d{3,4}|(?<=[\d .-])\d{2,4}(?:[ .-]\d{2,4}){2,4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\w)", phone),
+    "phone": (r"(?<![\w.])(?:\+\d{8,15}(?!\w)|(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?\d{3,4}[ .-]\d{3,4}|(?<=[\d .-])\d{2,4}(?:[ .-]\d{2,4}){2,4}|\d{3}[.-]\d{3}[.-]\d{4}))(?!\w)", phone),
 }
 KINDS = list(PATTERNS)
 
@@ -204,6 +208,10 @@ def one_pattern() -> re.Pattern:
 
 
 ANY = one_pattern()
+ALONE = {kind: re.compile(form) for kind, (form, _) in PATTERNS.items()}
+#: Kinds that can end in more than one place, with what must hold behind their end.
+ENDS = {kind: re.compile(PATTERNS[kind][0][PATTERNS[kind][0].rindex("(?!") :]) for kind in ("iban", "card", "phone")}
+ONLY = ("address", "date")  # what is written like these and is not valid is no other kind either
 HINT = re.compile("[0-9@]")
 
 
@@ -220,19 +228,36 @@ class Pseudonyms:
             self.known[kind, value] = PATTERNS[kind][1](value, self.key, self.inverse)
         return self.known[kind, value]
 
+    def at(self, text: str, start: int) -> tuple[str, int, str] | None:
+        """The first kind that is valid at ``start``, with its end and pseudonym; of its matches, the longest valid one."""
+        for kind, pattern in ALONE.items():
+            m = pattern.match(text, start)
+            if not m:
+                continue
+            if (new := self.of(kind, m.group())) is not None:
+                return kind, m.end(), new
+            for end in range(m.end() - 1, start, -1) if kind in ENDS else ():
+                if ENDS[kind].match(text, end) and pattern.fullmatch(text, start, end) and (new := self.of(kind, text[start:end])) is not None:
+                    return kind, end, new
+            if kind in ONLY:
+                return None
+        return None
+
     def replace(self, text: str) -> tuple[str, list[tuple[str, int, int]]]:
         """The new text and, in characters of the old one, what was replaced."""
         if not HINT.search(text):
             return text, []
         parts, spans, done, at = [], [], 0, 0
         while m := ANY.search(text, at):
+            start = m.start()
             new = self.of(m.lastgroup, m.group()) if m.lastgroup else None
-            if new is None:  # not valid as this kind: what follows its first character may be another
-                at = m.start() + 1
+            kind, end, new = (m.lastgroup, m.end(), new) if new is not None else self.at(text, start) or (None, start, None)
+            if new is None:  # nothing valid begins here
+                at = start + 1
                 continue
-            parts += [text[done : m.start()], new]
-            spans.append((m.lastgroup, m.start(), m.end()))
-            done = at = m.end()
+            parts += [text[done:start], new]
+            spans.append((kind, start, end))
+            done = at = end
         return "".join(parts) + text[done:], spans
 
 
