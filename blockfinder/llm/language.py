@@ -1,7 +1,8 @@
 """Language identification by compression: the language whose dictionary makes a text smallest.
 
-Each language has a raw-content dictionary of texts in it, from a bounded sample of labelled rows. A text is compressed
-with each of them; the fewest bytes win. Narrow margins are rejected.
+Each language has a raw-content dictionary of pieces of texts in it, from a bounded sample of labelled rows. A text is
+compressed with each of them; the fewest bytes win. Narrow margins, relative to the compressed size, are rejected: rows
+of the sample that are in no dictionary tell how wide they are for texts of a size.
 """
 
 from __future__ import annotations
@@ -18,12 +19,16 @@ from pyspark.sql import functions as F
 from .common import arrow_map, as_bytes, crc_text, documents, making_room
 
 DICTIONARY_BYTES = 32 << 10  # of sampled text for each language
-PIECE_CHARS = 1024  # most that one sampled text gives to a dictionary
+PIECE_CHARS = 1024  # of a piece of a sampled text
+PIECES = 4  # most pieces of a sampled text; second ones count only when all texts' first ones leave room
 SAMPLE_ROWS = 400  # sampled texts of each language, in expectation
 MOST_LANGUAGES = 1024  # a table with more distinct labels than this is refused, not cut
 LEVEL = 3
-SHARPNESS = 0.35  # natural-log odds for each byte of difference
-NARROW = 0.5  # a score of at most this is rejected (two languages alike)
+NARROW = 0.5  # a score of at most this is rejected; it is that of a margin of ``LEAST_PART`` of the usual one
+LEAST_PART = 0.25
+KEPT_BACK = 8  # one of so many sampled texts is in no dictionary
+ENOUGH = 20  # rows that the usual margin of a size is taken from, at least
+USUAL = 0.08  # the usual margin if no row is left to tell
 UNKNOWN = "und"
 LETTER = re.compile(r"[^\W\d_]")
 FOLD = bytes(c + 32 if 0x41 <= c <= 0x5A else c if c >= 0x80 or 0x61 <= c <= 0x7A else 0x20 for c in range(256))
@@ -51,20 +56,72 @@ def learn(docs: DataFrame, rows: int = SAMPLE_ROWS) -> dict[str, bytes]:
         return {}
     draw = F.pmod(F.xxhash64(F.lit("dictionary"), "doc_id"), F.lit(1_000_000)) / 1_000_000
     rate = F.element_at(F.create_map(*[F.lit(x) for lang, n in sizes.items() for x in (lang, min(1.0, rows / n))]), F.col("lang"))
-    chosen = labelled.where(draw < rate).select("lang", F.substring("text", 1, PIECE_CHARS).alias("text"), "doc_id").toPandas()
-    out: dict[str, bytes] = {}
+    blocks = F.greatest(F.ceil(F.length("text") / PIECE_CHARS), F.lit(1))
+    begin = F.pmod(F.xxhash64(F.lit("place"), "doc_id"), blocks)
+    pieces = F.array(*[F.when(blocks > k, F.col("text").substr((F.pmod(begin + k, blocks) * PIECE_CHARS + 1).cast("int"), F.lit(PIECE_CHARS))) for k in range(PIECES)])
+    sample = labelled.where(draw < rate).withColumn("draw", F.xxhash64(F.lit("order"), "doc_id", "text"))
+    chosen = sample.select("lang", "draw", F.posexplode(pieces).alias("turn", "text")).where("text is not null").toPandas()
+    out = Known()
+    taught: list[int] = []
     for lang in sizes:
-        own = chosen[chosen["lang"] == lang].sort_values(["doc_id", "text"])
-        kept, size = [], 0
-        for text in dict.fromkeys(plain(t.encode()) for t in own["text"]):
-            if size < DICTIONARY_BYTES and text:
-                kept.append(text)
+        own = chosen[chosen["lang"] == lang].sort_values(["turn", "draw", "text"])
+        draws = own["draw"].drop_duplicates().tolist()
+        teaching = {d for k, d in enumerate(draws) if (k + 1) % KEPT_BACK}
+        kept, size = {}, 0
+        for text, drawn in zip(own["text"], own["draw"], strict=True):
+            text = plain(text.encode())
+            if size < DICTIONARY_BYTES and text and text not in kept and drawn in teaching:
+                kept[text] = None
                 size += len(text)
+                taught.append(int(drawn))
         if kept:
             out[lang] = b" ".join(kept)[-DICTIONARY_BYTES:]
+    out.calibrate(sample.where(~F.col("draw").isin(*set(taught))) if taught else sample)
     return out
 
 
+class Known(dict):
+    """Dictionaries by language, with the usual margins (binary logarithm of the size, margin)."""
+
+    usual: tuple[tuple[float, float], ...] = ()
+
+    def calibrate(self, rows: DataFrame) -> None:
+        """Take the usual margins from ``rows`` (text, lang): medians over texts of like size that were told rightly."""
+        if len(self) < 2:
+            return
+        known = dict(self)
+
+        def measure(batches: Iterable[pa.RecordBatch]):
+            sizer = Sizer(known)
+            for batch in batches:
+                found = []
+                for raw, lang in zip(as_bytes(batch.column(0)).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    if told(raw):
+                        best, least, lead = margin(sizer.sizes(plain(raw)), sizer.languages)
+                        if best == lang:
+                            found.append((float(least), lead))
+                least, lead = zip(*found, strict=True) if found else ((), ())
+                yield pa.RecordBatch.from_arrays([pa.array(least, pa.float64()), pa.array(lead, pa.float64())], ["size", "lead"])
+
+        seen = sorted((r["size"], r["lead"]) for r in arrow_map(rows.select("text", "lang"), measure, "size double, lead double").collect())
+        parts = max(1, min(8, len(seen) // ENOUGH))
+        groups = [seen[k * len(seen) // parts : (k + 1) * len(seen) // parts] for k in range(parts)] if seen else []
+        self.usual = tuple((float(np.log2(np.median([x for x, _ in g]))), float(np.median([x for _, x in g]))) for g in groups)
+
+
+def told(text: bytes) -> bool:
+    """Whether there is a letter to tell a language from."""
+    return LETTER.search(text.decode("utf-8", "replace")) is not None
+
+
+def margin(sizes: list[int], languages: list[str]) -> tuple[str, int, float]:
+    """The language of fewest bytes (the first by name of equal ones), these bytes, and the next one's lead over them."""
+    best = min(range(len(sizes)), key=sizes.__getitem__)
+    least = max(1, sizes[best])
+    rivals = [n for k, n in enumerate(sizes) if k != best]
+    return languages[best], least, (min(rivals) - sizes[best]) / least if rivals else float("inf")
+
+
 class Sizer:
     """The compressed size of a text under each language's dictionary."""
 
@@ -87,11 +144,13 @@ class Sizer:
         return [len(c.compress(text)) for c in self.compressors]
 
 
-def decide(sizes: list[int], languages: list[str]) -> tuple[str, float]:
-    """The language of fewest bytes (the first by name of equal ones) and how sure that is, from 0 to 1."""
-    at = np.array(sizes, "f8")
-    best = int(at.argmin())
-    return languages[best], float(1 / np.exp(np.maximum(-SHARPNESS * (at - at[best]), -60)).sum())
+def decide(sizes: list[int], languages: list[str], usual: tuple[tuple[float, float], ...] = ()) -> tuple[str, float]:
+    """The language of fewest bytes and how sure that is, from 0 to 1: its relative margin against the usual one."""
+    best, least, lead = margin(sizes, languages)
+    if lead == float("inf"):
+        return best, 1.0
+    wide = LEAST_PART * (float(np.interp(np.log2(least), *zip(*usual, strict=True))) if usual else USUAL)
+    return best, lead / (lead + wide) if lead + wide > 0 else 0.0
 
 
 def identify(df: DataFrame, dictionaries: dict[str, bytes], text: str = "text", narrow: float = NARROW, prefix: str = "") -> DataFrame:
@@ -104,17 +163,18 @@ def identify(df: DataFrame, dictionaries: dict[str, bytes], text: str = "text",
     df = making_room(df, added)
     at = df.columns.index(text)
     names = [*df.columns, *added]
+    usual = getattr(dictionaries, "usual", ())
 
     def rows(batches: Iterable[pa.RecordBatch]):
         sizer = Sizer(dictionaries) if dictionaries else None
         for batch in batches:
             out = []
             for raw in as_bytes(batch.column(at)).to_pylist():
-                if sizer is None or not LETTER.search(raw.decode("utf-8", "replace")):
+                if sizer is None or not told(raw):
                     out.append((UNKNOWN, 0.0, True))
                     continue
                 body = plain(raw)
-                lang, score = decide(sizer.sizes(body), sizer.languages)
+                lang, score = decide(sizer.sizes(body), sizer.languages, usual)
                 out.append((lang, score, score <= narrow))
             lang, score, rejected = zip(*out, strict=True)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(rejected, pa.bool_())], names)
