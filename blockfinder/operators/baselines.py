@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from ..functions.rng import hash01, uniform_block
 from ..plans.state import settle
 from . import bisect
+from . import components as contraction
 from .gnn import neighbour_sums
 from .graph import Graph
 from .kernels import matrix, reduce_arcs, vectors
@@ -51,18 +52,10 @@ def in_one_task(g: Graph, method: Callable[[int, np.ndarray, np.ndarray], np.nda
 
 
 def components(g: Graph) -> DataFrame:
-    """Connected components, by hanging nodes on their least neighbour and contracting."""
-    edges = settle(g.arcs.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b")))
-    found = settle(g.nodes.select("id", F.col("id").alias("block")))
-    while not edges.isEmpty():
-        both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        up = settle(both.groupBy("a").agg(F.min("b").alias("b")).select("a", F.least("a", "b").alias("up")))
-        jump = up.select(F.col("a").alias("up"), F.col("up").alias("top"))
-        step = settle(up.join(jump, "up").select("a", F.col("top").alias("up")))
-        found = settle(found.join(step.withColumnRenamed("a", "block"), "block", "left").select("id", F.coalesce("up", "block").alias("block")))
-        one, two = step.select("a", F.col("up").alias("x")), step.select(F.col("a").alias("b"), F.col("up").alias("y"))
-        edges = settle(edges.join(one, "a").join(two, "b").where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct())
-    return named(found)
+    """Connected components; a block's name is its least node."""
+    edges = g.arcs.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    found = contraction.components(edges).select(F.col("node").alias("id"), F.col("root").alias("block"))
+    return g.nodes.select("id").join(found, "id", "left").select("id", F.coalesce("block", "id").alias("block"))
 
 
 def label_propagation(g: Graph, rounds: int = 10, seed: int = 0) -> DataFrame:
