@@ -19,7 +19,7 @@ from ..functions.rng import hash01, uniform_block
 from ..plans.state import settle
 from . import bisect
 from . import components as contraction
-from .gnn import neighbour_sums
+from .gnn import dealt_arcs, neighbour_sums
 from .graph import Graph
 from .kernels import matrix, reduce_arcs, vectors
 
@@ -215,10 +215,11 @@ def spectral_clustering(g: Graph, k: int, seed: int = 0, iterations: int = 15) -
         yield pa.RecordBatch.from_arrays([pa.array(range(k * k), pa.int64()), pa.array(total.reshape(-1))], ["cell", "x"])
 
     q = g.nodes.select("id").mapInArrow(first, "id long, v array<float>")
+    arcs = dealt_arcs(g, loops=False)
     w = None
     for _ in range(iterations):
         scaled = settle(g.nodes.join(q, "id").select("id", "deg", "v").mapInArrow(times(w, -0.5), "id long, v array<float>"))
-        sums = with_all_nodes(g, neighbour_sums(g, scaled, k), k)
+        sums = with_all_nodes(g, neighbour_sums(g, scaled, k, arcs=arcs), k)
         # Half of the identity is added, so that the largest eigenvalues are the ones that stand out.
         half = g.nodes.join(sums, "id").select("id", "deg", "v").mapInArrow(times(None, -0.5), "id long, v array<float>")
         back = g.nodes.join(scaled, "id").select("id", "deg", "v").mapInArrow(times(None, 0.5), "id long, v array<float>").withColumnRenamed("v", "u")

@@ -8,9 +8,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.rng import uniform_block
-from ..functions.vectors import dot
 
 INITS = ("far", "kmeans++", "axis")
+START_ROWS = 32_768  # vectors that first centres of larger sets come from
+STEPS = 10  # exact steps over all vectors of such sets
 
 
 def starts(z: np.ndarray, ids: np.ndarray, init: str, seed: int) -> np.ndarray:
@@ -49,14 +50,44 @@ def plane(centres: np.ndarray) -> tuple[np.ndarray, float]:
     return w, float((centres[1] ** 2).sum() - (centres[0] ** 2).sum()) / 2
 
 
-def fit(z: np.ndarray, ids: np.ndarray, max_iter: int = 20, n_init: int = 3, init: str = "far", seed: int = 0) -> tuple[np.ndarray, float]:
-    """The plane of the best of ``n_init`` runs; the first starts as ``init`` says, others from drawn points.
+def fit(z: np.ndarray, ids: np.ndarray, max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> tuple[np.ndarray, float]:
+    """The plane between the halves of a set that is in memory.
 
-    Rows are taken in order of id, so the result does not depend on how they are stored.
+    Up to ``rows`` vectors: the best run on all of them. Beyond that, the best run on about ``rows`` of them, taken by a
+    hash of the id, gives the first centres, and up to ``steps`` exact steps over all vectors follow. Rows are taken in
+    order of id, so the result does not depend on how they are stored; ``two_means`` does the same as jobs.
     """
     order = np.argsort(ids, kind="stable")
     z, ids = z[order].astype("f8"), ids[order]
-    squares = float((z**2).sum())
+    if len(ids) <= rows:
+        return best_run(z, ids, max_iter, n_init, init, seed)
+    chosen = drawn(ids, len(ids), rows, seed)
+    w, b = best_run(z[chosen], ids[chosen], max_iter, n_init, init, seed)
+    whole, old = z.sum(axis=0), None
+    for _ in range(steps):
+        side = z @ w > b
+        n = int(side.sum())
+        if n in (0, len(z)) or (old is not None and (side == old).all()):
+            break
+        old = side
+        w, b = plane(centres_of(side @ z, n, whole, len(z)))
+    return w, b
+
+
+def drawn(ids: np.ndarray, n: int, rows: int, seed: int) -> np.ndarray:
+    """Which of a set's ids are in the sample that its first centres come from."""
+    return uniform_block(seed + 77, ids, 1)[:, 0] < rows / n
+
+
+def centres_of(one: np.ndarray, n1: int, whole: np.ndarray, n: int) -> np.ndarray:
+    return np.stack([(whole - one) / (n - n1), one / n1])
+
+
+def best_run(z: np.ndarray, ids: np.ndarray, max_iter: int, n_init: int, init: str, seed: int) -> tuple[np.ndarray, float]:
+    """The plane with the least squared error of ``n_init`` runs; the first starts as ``init`` says, others from drawn points."""
+    if not len(z):
+        return np.zeros(z.shape[1]), 0.0
+    squares, whole = float((z**2).sum()), z.sum(axis=0)
     best, least = plane(np.stack([z[0], z[0]])), np.inf
     for run in range(n_init):
         centres = starts(z, ids, init if run == 0 else "kmeans++", seed + run)
@@ -68,42 +99,117 @@ def fit(z: np.ndarray, ids: np.ndarray, max_iter: int = 20, n_init: int = 3, ini
             if n in (0, len(z)) or (old is not None and (side == old).all()):
                 break
             old = side
-            one = side @ z
-            centres = np.stack([(z.sum(axis=0) - one) / (len(z) - n), one / n])
+            centres = centres_of(side @ z, n, whole, len(z))
         w, b = plane(centres)
         side = z @ w > b
         n = int(side.sum())
         if 0 < n < len(z):
             one = side @ z
-            zero = z.sum(axis=0) - one
+            zero = whole - one
             error = squares - (one**2).sum() / n - (zero**2).sum() / (len(z) - n)
             if error < least - 1e-12:
                 best, least = (w, b), error
     return best
 
 
-def fit_sets(assign: DataFrame, open_sets: DataFrame, rows: int, **how) -> DataFrame:
-    """(path, w, b): a plane for each open set (path, n), from about ``rows`` of its vectors, taken by a hash of the id.
+def two_means(assign: DataFrame, sizes: dict[str, int], max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> dict[str, tuple[np.ndarray, float]]:
+    """The planes of all sets of ``assign`` (path, id, v), whose sizes are given, as ``fit`` makes them: all sets in one job a step.
 
-    A set of at most ``rows`` is fitted on all of it. One task holds one set's sample, which ``rows`` bounds.
+    What reaches the driver are the planes. Sums are made in the tasks, one vector for each set, and added up by set.
     """
-    seed = how.get("seed", 0)
-    rate = F.lit(float(rows)) / F.col("n")
-    draw = F.pmod(F.xxhash64(F.lit(seed), "path", "id"), F.lit(1 << 20)) / float(1 << 20)
-    chosen = assign.join(F.broadcast(open_sets.select("path", "n")), "path").where((F.col("n") <= rows) | (draw < rate)).select("path", "id", "v")
-
-    def one(key, table):
-        v = table["v"].combine_chunks()
-        z = v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), -1)
-        w, b = fit(z, table["id"].to_numpy(), **how)
+    wanted = F.broadcast(assign.sparkSession.createDataFrame([(p,) for p in sizes], "path string"))
+    mine = assign.join(wanted, "path").select("path", "id", "v")
+
+    def sample(batches):
+        for b in batches:
+            if b.num_rows:
+                n = np.array([sizes[p] for p in b.column(0).dictionary_encode().dictionary.to_pylist()])[b.column(0).dictionary_encode().indices.to_numpy()]
+                ids = b.column(1).to_numpy()
+                yield b.filter(pa.array((n <= rows) | (uniform_block(seed + 77, ids, 1)[:, 0] < rows / n)))
+
+    def start(key, table):
+        ids = table["id"].to_numpy()
+        order = np.argsort(ids, kind="stable")
+        z = table["v"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)[order].astype("f8")
+        w, b = best_run(z, ids[order], max_iter, n_init, init, seed)
         return pa.table({"path": [key[0].as_py()], "w": pa.array([w.tolist()], pa.list_(pa.float64())), "b": [b]})
 
-    return chosen.groupBy("path").applyInArrow(one, "path string, w array<double>, b double")
-
-
-def assign_side(assign: DataFrame, planes: DataFrame) -> DataFrame:
-    """``assign`` (path, v, ...) with ``side``: 1 where w . v > b."""
-    return assign.join(planes.select("path", "w", "b"), "path").withColumn("side", (dot(F.col("w"), F.col("v")) > F.col("b")).cast("int")).drop("w", "b")
+    shape = "path string, id long, v array<float>"
+    first = mine.mapInArrow(sample, shape).groupBy("path").applyInArrow(start, "path string, w array<double>, b double")
+    planes = {r["path"]: (np.array(r["w"]), r["b"]) for r in first.collect()}
+    going = {p for p, n in sizes.items() if n > rows}
+    counts: dict[str, tuple] = {}
+    for _ in range(steps):
+        if not going:
+            break
+        for path, n1, one, n, whole in lloyd_sums(mine.where(F.col("path").isin(*going)) if len(going) < len(sizes) else mine, {p: planes[p] for p in going}):
+            now = (n1, one.round(9).tobytes())
+            if n1 in (0, n) or counts.get(path) == now:
+                going.discard(path)
+            else:
+                planes[path] = plane(centres_of(one, n1, whole, n))
+            counts[path] = now
+    return planes
+
+
+def lloyd_sums(assign: DataFrame, planes: dict[str, tuple[np.ndarray, float]]):
+    """(path, n1, sum1, n, sum) for each set of ``assign`` (path, id, v): number and sum of what is beyond its plane, and of all."""
+    names = sorted(planes)
+    at = {p: k for k, p in enumerate(names)}
+    w, b = np.stack([planes[p][0] for p in names]), np.array([planes[p][1] for p in names])
+
+    def sums(batches):
+        held: dict[int, list] = {}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            code = batch.column(0).dictionary_encode()
+            own = code.indices.to_numpy()
+            z = batch.column(2).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1).astype("f8")
+            for c, path in enumerate(code.dictionary.to_pylist()):
+                k = at.get(path)
+                if k is None:
+                    continue
+                part = z[own == c]
+                side = part @ w[k] > b[k]
+                x = held.setdefault(k, [0, np.zeros(z.shape[1]), 0, np.zeros(z.shape[1])])
+                x[0] += int(side.sum())
+                x[1] += side @ part
+                x[2] += len(part)
+                x[3] += part.sum(axis=0)
+        if held:
+            keys = sorted(held)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([names[k] for k in keys]), pa.array([held[k][0] for k in keys]), pa.array([held[k][1].tobytes() for k in keys], pa.binary()), pa.array([held[k][2] for k in keys]), pa.array([held[k][3].tobytes() for k in keys], pa.binary())],
+                ["path", "n1", "one", "n", "whole"],
+            )
+
+    def total(key, table):
+        one, whole = (sum(np.frombuffer(x, "f8") for x in sorted(table[c].to_pylist())) for c in ("one", "whole"))
+        return pa.table({"path": [key[0].as_py()], "n1": [sum(table["n1"].to_pylist())], "one": pa.array([one.tobytes()], pa.binary()), "n": [sum(table["n"].to_pylist())], "whole": pa.array([whole.tobytes()], pa.binary())})
+
+    shape = "path string, n1 long, one binary, n long, whole binary"
+    for r in assign.select("path", "id", "v").mapInArrow(sums, shape).groupBy("path").applyInArrow(total, shape).collect():
+        yield r["path"], r["n1"], np.frombuffer(r["one"], "f8"), r["n"], np.frombuffer(r["whole"], "f8")
+
+
+def assign_side(assign: DataFrame, planes: dict[str, tuple[np.ndarray, float]]) -> DataFrame:
+    """``assign`` (id, deg, v, path) with ``side``: 1 where w . v > b in the plane of the row's set. Sets without a plane go."""
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                code = b.column(3).dictionary_encode()
+                own, z = code.indices.to_numpy(), b.column(2).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1).astype("f8")
+                side = np.full(b.num_rows, -1, "i4")
+                for c, path in enumerate(code.dictionary.to_pylist()):
+                    if path in planes:
+                        w, shift = planes[path]
+                        side[own == c] = z[own == c] @ w > shift
+                there = pa.array(side >= 0)
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(side)], ["id", "deg", "v", "path", "side"]).filter(there)
+
+    return assign.select("id", "deg", "v", "path").mapInArrow(run, "id long, deg long, v array<float>, path string, side int")
 
 
 def lloyd_step(assign: DataFrame, centres: DataFrame, width: int) -> DataFrame:
@@ -119,37 +225,6 @@ def lloyd_step(assign: DataFrame, centres: DataFrame, width: int) -> DataFrame:
     return out.select("path", "side", "n", F.array(*[f"_{k}" for k in range(width)]).alias("centre"), "error")
 
 
-def two_means(assign: DataFrame, width: int, max_iter: int = 20, seed: int = 0) -> DataFrame:
-    """Exact 2-means of every set of ``assign`` (path, id, v), all sets in one job a step: ``assign`` with ``side``.
-
-    For sets that no task can hold and that are not to be sampled. Sets whose halves no longer change go on unchanged.
-    """
-    spark = assign.sparkSession
-    ordered = F.struct(F.xxhash64(F.lit(seed), "id"), "id")
-    one = assign.groupBy("path").agg(F.min_by("v", ordered).alias("c0"))
-    far = F.aggregate(F.zip_with("v", "c0", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
-    two = assign.join(F.broadcast(one), "path").groupBy("path").agg(F.first("c0").alias("c0"), F.max_by("v", F.struct(far, -F.col("id"))).alias("c1"))
-    kind = "path string, c0 array<double>, c1 array<double>"
-    centres = {r["path"]: [list(map(float, r["c0"])), list(map(float, r["c1"]))] for r in two.collect()}
-    counts: dict[str, tuple] = {}
-    for _ in range(max_iter):
-        found = lloyd_step(assign, spark.createDataFrame([(p, *c) for p, c in centres.items()], kind), width).collect()
-        now: dict[str, dict] = {}
-        for r in found:
-            now.setdefault(r["path"], {})[r["side"]] = r
-        settled = True
-        for path, sides in now.items():
-            for side, r in sides.items():
-                centres[path][side] = list(r["centre"])
-            new = tuple(sorted((s, r["n"], round(r["error"], 9)) for s, r in sides.items()))
-            settled &= counts.get(path) == new
-            counts[path] = new
-        if settled:
-            break
-    planes = [(p, *[x.tolist() if isinstance(x, np.ndarray) else x for x in plane(np.array(c))]) for p, c in centres.items()]
-    return assign_side(assign, F.broadcast(spark.createDataFrame(planes, "path string, w array<double>, b double")))
-
-
 def k_means(z: DataFrame, k: int, seed: int = 0, max_iter: int = 20) -> DataFrame:
     """(id, block) of ``z`` (id, v) for a given number of blocks; block is the least id in it."""
     from pyspark.ml.clustering import KMeans

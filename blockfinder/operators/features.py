@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..functions.rng import gauss, gauss_block
 from .graph import Graph
-from .kernels import matrix, reduce_arcs, vectors
+from .kernels import hub_salt, matrix, reduce_arcs, vectors
 
 KINDS = ("cut", "mod", "mod_full")
 
@@ -32,10 +32,11 @@ def spread(width: int, scale: str) -> float:
     return width**-0.5 if scale == "std" else width**-0.25
 
 
-def project(g: Graph, kind: str = "cut", width: int = 64, seed: int = 0, scale: str = "std", salt: int = 1) -> DataFrame:
+def project(g: Graph, kind: str = "cut", width: int = 64, seed: int = 0, scale: str = "std", salt: int | None = None) -> DataFrame:
     """(id, v): the features of all nodes; nodes without edges have zeros. No vector is shuffled.
 
-    ``mod_full`` is the dense modularity matrix: its rank-one part needs one more sum over all nodes.
+    ``mod_full`` is the dense modularity matrix: its rank-one part needs one more sum over all nodes. ``salt``: parts
+    that a node's arcs are dealt into, by default as many as the largest degree asks for.
     """
     if kind not in KINDS:
         raise ValueError(f"kind must be one of {KINDS}")
@@ -50,7 +51,7 @@ def project(g: Graph, kind: str = "cut", width: int = 64, seed: int = 0, scale:
     def plain(dst, dsrc, ddst):
         return gauss_block(seed, dst, width) * np.float32(std)
 
-    out = reduce_arcs(g.arcs, ["dst", "dsrc", "ddst"], width, {"cut": cut, "mod": mod, "mod_full": plain}[kind], salt)
+    out = reduce_arcs(g.arcs, ["dst", "dsrc", "ddst"], width, {"cut": cut, "mod": mod, "mod_full": plain}[kind], salt or hub_salt(g))
     if kind == "mod_full":
         lift = weighted_sum(g, width, seed) * std / total
         out = without_rank_one(g.nodes.join(out, "id", "left"), lift, width)

@@ -56,13 +56,17 @@ def block_shares(k: int, heterogeneity: float, seed: int) -> np.ndarray:
 
 
 def benchmark_params(
-    nodes: DataFrame, ratio: float = 2.5, heterogeneity: float = 3.0, mean_degree: float = 36.0, k: int | None = None, seed: int = 0, block: str | None = None, degree_corrected: bool = True, simple: bool = True
+    nodes: DataFrame, ratio: float = 2.5, heterogeneity: float = 3.0, mean_degree: float = 36.0, k: int | None = None, seed: int = 0, block: str | None = None, degree_corrected: bool = True, simple: bool = True, even: str = "blocks"
 ) -> Params:
     """Parameters over ``nodes`` (id and, if ``block`` names one, a column of integers to be used as true blocks).
 
     ``ratio``: edges within blocks to edges between them. Without ``k``, it is the floor of n ** 0.35. With ``simple``
-    the rates are solved so that the ratio holds after repeated edges have been collapsed.
+    the rates are solved so that the ratio holds after repeated edges have been collapsed. ``even``: with ``blocks`` each
+    block keeps the ratio, with ``totals`` one rate holds within all blocks, so that nodes of small blocks have fewer
+    edges within and the ratio holds for the totals only.
     """
+    if even not in ("blocks", "totals"):
+        raise ValueError("even must be blocks or totals")
     if block is None:
         k = k or max(1, math.floor(nodes.count() ** 0.35))
         bounds = np.cumsum(block_shares(k, heterogeneity, seed))[:-1].tolist()
@@ -74,10 +78,10 @@ def benchmark_params(
     theta = theta_column(seed, F.col("id")) if degree_corrected else F.lit(1.0)
     placed = placed.withColumn("theta", theta)
     sums = sorted((r["block"], r["n"], r["t"], r["q"]) for r in placed.groupBy("block").agg(F.count(F.lit(1)).alias("n"), F.sum("theta").alias("t"), F.sum(F.col("theta") * F.col("theta")).alias("q")).collect())
-    return Params(placed, solve_rates(sums, ratio, mean_degree, simple, degree_corrected))
+    return Params(placed, solve_rates(sums, ratio, mean_degree, simple, degree_corrected, even))
 
 
-def solve_rates(sums: list[tuple[int, int, float, float]], ratio: float, mean_degree: float, simple: bool, degree_corrected: bool) -> list[tuple[int, int, float]]:
+def solve_rates(sums: list[tuple[int, int, float, float]], ratio: float, mean_degree: float, simple: bool, degree_corrected: bool, even: str = "blocks") -> list[tuple[int, int, float]]:
     n = sum(s[1] for s in sums)
     edges = n * mean_degree / 2
     within, between = edges * ratio / (1 + ratio), edges / (1 + ratio)
@@ -100,8 +104,12 @@ def solve_rates(sums: list[tuple[int, int, float, float]], ratio: float, mean_de
             low, high = (mid, high) if mass * (1 - np.exp(-product * mid)).mean() / product.mean() < target else (low, mid)
         return high
 
-    w, b = rate(within, inside), rate(between, across)
-    return [(r[0], s[0], w if r[0] == s[0] else b) for i, r in enumerate(sums) for s in sums[i:]]
+    b = rate(between, across)
+    if even == "totals":
+        own = [rate(within, inside)] * len(sums)
+    else:
+        own = [rate(within * t / total, (t * t - q) / 2) for _, _, t, q in sums]
+    return [(r[0], s[0], own[i] if r[0] == s[0] else b) for i, r in enumerate(sums) for s in sums[i:]]
 
 
 def rates_df(params: Params) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -10,22 +10,33 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.rng import gauss_block, uniform_block
+from ..plans.state import settle, written
 from .graph import Graph
-from .kernels import matrix, reduce_arcs, vectors
+from .kernels import ARCS_AT_ONCE, by_source, hub_salt, matrix, summed_by, vectors
 
-#: Vectors of all nodes up to this size go to each task; larger ones are joined to the arcs.
+#: Vectors of all nodes up to this size go to each task; larger ones are cut into blocks of the other size.
 BROADCAST_BYTES = 64 << 20
+BLOCK_BYTES = 96 << 20
 ACTIVATIONS: dict[str, Callable[[np.ndarray], np.ndarray]] = {"tanh": np.tanh, "relu": lambda x: np.maximum(x, 0), "identity": lambda x: x}
 
 
-def weights(rows: int, columns: int, seed: int, layer: int, init: str = "gaussian") -> np.ndarray:
-    """The random weights of a layer; ``gaussian`` is the law of the feature projection."""
+def weights(rows: int, columns: int, seed: int, layer: int, init: str = "orthogonal") -> np.ndarray:
+    """The random weights of a layer.
+
+    ``gaussian`` is the law of the feature projection; ``orthogonal`` makes its shorter side's vectors orthonormal, so
+    that a layer as wide as the one before keeps all distances, however many there are.
+    """
     ids = np.arange(rows)
     if init == "gaussian":
         return gauss_block(seed * 1009 + layer + 1, ids, columns).astype("f8") * columns**-0.5
     if init == "glorot_uniform":
         return (2 * uniform_block(seed * 1009 + layer + 1, ids, columns) - 1) * np.sqrt(6 / (rows + columns))
-    raise ValueError("init must be gaussian or glorot_uniform")
+    if init == "orthogonal":
+        long, short = max(rows, columns), min(rows, columns)
+        q, r = np.linalg.qr(gauss_block(seed * 1009 + layer + 1, np.arange(long), short).astype("f8"))
+        q = q * np.where(np.diag(r) < 0, -1.0, 1.0)
+        return q if rows >= columns else q.T
+    raise ValueError("init must be orthogonal, gaussian or glorot_uniform")
 
 
 def unit_rows(x: np.ndarray) -> np.ndarray:
@@ -33,31 +44,116 @@ def unit_rows(x: np.ndarray) -> np.ndarray:
     return x / np.where(size > 0, size, 1)
 
 
-def neighbour_sums(g: Graph, z: DataFrame, width: int, how: str = "auto") -> DataFrame:
-    """(id, v): the sum of the neighbours' rows of ``z`` (id, v)."""
-    if how == "auto":
-        how = "broadcast" if g.n * width * 4 <= BROADCAST_BYTES else "join"
+def dealt_arcs(g: Graph, loops: bool = True) -> DataFrame:
+    """(src, dst, deg): arcs and, with ``loops``, one from each node to itself; a node's arcs are side by side."""
+    arcs = g.arcs.select("src", "dst", F.col("dsrc").alias("deg"))
+    if loops:
+        arcs = arcs.unionByName(g.nodes.select(F.col("id").alias("src"), F.col("id").alias("dst"), "deg"))
+    return settle(by_source(arcs, ["dst", "deg"], hub_salt(g)))
+
+
+def plan_for(n: int, width: int, mean_degree: float) -> str:
+    """``broadcast`` while all vectors are small, ``blocks`` while there are fewer blocks of them than a node has arcs, else ``join``."""
+    size = 4 * n * width
+    return "broadcast" if size <= BROADCAST_BYTES else "blocks" if size <= BLOCK_BYTES * max(2.0, mean_degree / 2) else "join"
+
+
+Finish = Callable[[np.ndarray, np.ndarray], np.ndarray]
+
+
+def propagate(arcs: DataFrame, z: DataFrame, width: int, n: int, how: str, finish: Finish, whole: bool = True) -> DataFrame:
+    """(id, deg, v): ``finish(deg, sums)`` of the sums of ``z`` (id, v) over the ends of each node's ``arcs`` (src, dst, deg).
+
+    ``broadcast``: all of z goes to each task. ``blocks``: z is cut into blocks; a block meets the arcs that lead into it,
+    by blocks of their sources, and what is moved are blocks and their partial sums, not a vector for each arc.
+    ``join``: a vector for each arc, added up where it is made and once more by node. ``whole``: no node's arcs are in
+    several partitions of ``arcs``.
+    """
+    schema = "id long, deg long, v array<float>"
+
+    def done(parts: Iterable[tuple[np.ndarray, np.ndarray, np.ndarray]], finish: Finish):
+        for ids, deg, sums in summed_by(parts):
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(deg), vectors(finish(deg, sums))], ["id", "deg", "v"])
+
+    as_is: Finish = lambda deg, sums: sums
     if how == "broadcast":
         table = z.select("id", "v").toArrow()
         ids = table["id"].to_numpy()
         order = np.argsort(ids)
-        rows = matrix(table["v"].combine_chunks(), width)[order]
-        shared = z.sparkSession.sparkContext.broadcast((ids[order], rows))
+        shared = z.sparkSession.sparkContext.broadcast((ids[order], matrix(table["v"].combine_chunks(), width)[order]))
 
-        def look_up(dst):
+        def look_up(batches):
             ids, rows = shared.value
-            return rows[np.searchsorted(ids, dst)]
-
-        return reduce_arcs(g.arcs, ["dst"], width, look_up)
-    sent = g.arcs.select("src", "dst").join(z.select(F.col("id").alias("dst"), "v"), "dst").select("src", "v")
+            for batch in batches:
+                src, dst, deg = (c.to_numpy() for c in batch.columns)
+                for k in range(0, len(src), ARCS_AT_ONCE):
+                    part = slice(k, k + ARCS_AT_ONCE)
+                    yield src[part], deg[part], rows[np.searchsorted(ids, dst[part])]
+
+        summed = arcs.mapInArrow(lambda batches: done(look_up(batches), finish if whole else as_is), schema)
+        if whole:
+            return summed
+    elif how == "blocks":
+        count = max(2, -(-4 * n * width // BLOCK_BYTES))
+        block = lambda c: F.pmod(F.xxhash64(c), F.lit(count)).cast("int")
+        cells = arcs.select(block("src").alias("i"), block("dst").alias("j"), "src", "dst", "deg").groupBy("i", "j")
+        sent = z.select(F.explode(F.sequence(F.lit(0), F.lit(count - 1))).alias("i"), block("id").alias("j"), "id", "v").groupBy("i", "j")
+
+        def meet(left, right):
+            if not left.num_rows or not right.num_rows:
+                return pa.table({"id": pa.array([], pa.int64()), "deg": pa.array([], pa.int64()), "v": pa.array([], pa.list_(pa.float32()))})
+            ids = right["id"].to_numpy()
+            order = np.argsort(ids)
+            rows, ids = matrix(right["v"].combine_chunks(), width), ids[order]
+            by_src = np.argsort(left["src"].to_numpy(), kind="stable")
+            src, deg = left["src"].to_numpy()[by_src], left["deg"].to_numpy()[by_src]
+            place = order[np.searchsorted(ids, left["dst"].to_numpy()[by_src])]
+            cuts = range(0, len(src), ARCS_AT_ONCE)
+            parts = ((src[k : k + ARCS_AT_ONCE], deg[k : k + ARCS_AT_ONCE], rows[place[k : k + ARCS_AT_ONCE]]) for k in cuts)
+            return pa.Table.from_batches(list(done(parts, as_is)))
+
+        summed = cells.cogroup(sent).applyInArrow(meet, schema)
+    else:
+        sent = arcs.join(z.select(F.col("id").alias("dst"), "v"), "dst").select("src", "deg", "v").sortWithinPartitions("src")
+        summed = sent.mapInArrow(lambda batches: done(columns_of(batches, width), as_is), schema)
+    return summed.repartition("id").sortWithinPartitions("id").mapInArrow(lambda batches: done(columns_of(batches, width), finish), schema)
+
+
+def columns_of(batches: Iterable[pa.RecordBatch], width: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    return ((b.column(0).to_numpy(), b.column(1).to_numpy(), matrix(b.column(2), width)) for b in batches if b.num_rows)
+
+
+def neighbour_sums(g: Graph, z: DataFrame, width: int, how: str = "auto", arcs: DataFrame | None = None) -> DataFrame:
+    """(id, v): the sum of the neighbours' rows of ``z`` (id, v). ``arcs``: those of ``dealt_arcs`` without loops, to be used again."""
+    how = plan_for(g.n, width, 2 * g.m / max(1, g.n)) if how == "auto" else how
+    arcs = dealt_arcs(g, loops=False) if arcs is None else arcs
+    return propagate(arcs, z, width, g.n, how, lambda deg, sums: sums, hub_salt(g) == 1).select("id", "v")
+
+
+def ready(z: DataFrame, w: np.ndarray | None) -> DataFrame:
+    """(id, v) of ``z`` (id, deg, v): rows times ``w`` (None: as they are), over the root of degree + 1."""
 
     def run(batches):
-        from .kernels import summed_by
+        for b in batches:
+            if b.num_rows:
+                rows = matrix(b.column(2), -1 if w is None else w.shape[0]).astype("f8")
+                rows = (rows if w is None else rows @ w) / np.sqrt(b.column(1).to_numpy() + 1.0)[:, None]
+                yield pa.RecordBatch.from_arrays([b.column(0), vectors(rows)], ["id", "v"])
+
+    return z.select("id", "deg", "v").mapInArrow(run, "id long, v array<float>")
+
+
+def after_sum(act: str, normalise: bool, following: np.ndarray | None = None) -> Finish:
+    """A layer from its sums on, and, where there is a next one, its rows times that one's weights."""
+    activate = ACTIVATIONS[act]
 
-        for ids, sums in summed_by((b.column(0).to_numpy(), matrix(b.column(1), width)) for b in batches if b.num_rows):
-            yield pa.RecordBatch.from_arrays([pa.array(ids), vectors(sums)], ["id", "v"])
+    def finish(deg: np.ndarray, sums: np.ndarray) -> np.ndarray:
+        root = np.sqrt(deg + 1.0)[:, None]
+        rows = activate(sums / root)
+        rows = unit_rows(rows) if normalise else rows
+        return rows if following is None else rows @ following / root
 
-    return sent.repartition("src").sortWithinPartitions("src").mapInArrow(run, "id long, v array<float>")
+    return finish
 
 
 def layer(g: Graph, z: DataFrame, w: np.ndarray | None, width: int, act: str = "tanh", normalise: bool = True, how: str = "auto") -> DataFrame:
@@ -66,28 +162,8 @@ def layer(g: Graph, z: DataFrame, w: np.ndarray | None, width: int, act: str = "
     The weights are applied before the sum, where rows are wide, so that what is moved is of the new width.
     ``w`` None: no multiplication.
     """
-    activate = ACTIVATIONS[act]
-
-    def times(batches):
-        for b in batches:
-            if b.num_rows:
-                rows = matrix(b.column(2), -1 if w is None else w.shape[0]).astype("f8")
-                rows = (rows if w is None else rows @ w) / np.sqrt(b.column(1).to_numpy() + 1.0)[:, None]
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), vectors(rows)], ["id", "deg", "v"])
-
-    def finish(batches):
-        for b in batches:
-            if b.num_rows:
-                rows = matrix(b.column(2), width).astype("f8")
-                has = b.column(3).is_valid().to_numpy(zero_copy_only=False)
-                if has.any():
-                    rows[has] += matrix(b.column(3).drop_null(), width)
-                rows = activate(rows / np.sqrt(b.column(1).to_numpy() + 1.0)[:, None])
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), vectors(unit_rows(rows) if normalise else rows)], ["id", "deg", "v"])
-
-    own = z.select("id", "deg", "v").mapInArrow(times, "id long, deg long, v array<float>")
-    sums = neighbour_sums(g, own, width, how).withColumnRenamed("v", "sums")
-    return own.join(sums, "id", "left").select("id", "deg", "v", "sums").mapInArrow(finish, "id long, deg long, v array<float>")
+    how = plan_for(g.n, width, 2 * g.m / max(1, g.n)) if how == "auto" else how
+    return propagate(dealt_arcs(g), written(ready(z, w)), width, g.n, how, after_sum(act, normalise), hub_salt(g) == 1)
 
 
 def normalise(z: DataFrame) -> DataFrame:
@@ -101,15 +177,23 @@ def normalise(z: DataFrame) -> DataFrame:
     return z.select("id", "deg", "v").mapInArrow(run, "id long, deg long, v array<float>")
 
 
-def forward(g: Graph, y: DataFrame, layers: tuple[int, ...], seed: int = 0, act: str = "tanh", init: str = "gaussian", normalise: bool = True, first_weights: bool = True, how: str = "auto") -> DataFrame:
+def forward(g: Graph, y: DataFrame, layers: tuple[int, ...], seed: int = 0, act: str = "tanh", init: str = "orthogonal", normalise: bool = True, first_weights: bool = True, how: str = "auto") -> DataFrame:
     """(id, deg, v) after one pass of ``y`` (id, v) through layers of the given sizes; ``layers[0]`` is y's width.
 
     Without ``first_weights``, the first layer's weights are taken to be in ``y`` already (its width is ``layers[1]``).
+    Each layer is one pass over arcs that are dealt out once; it ends with the next one's weights, and is written.
     """
-    z = g.nodes.join(y.select("id", "v"), "id")
-    for k, (rows, columns) in enumerate(zip(layers, layers[1:], strict=False)):
-        w = None if k == 0 and not first_weights else weights(rows, columns, seed, k, init)
-        z = layer(g, z, w, columns, act, normalise, how)
+    z = g.nodes.join(y.select("id", "v"), "id").select("id", "deg", "v")
+    depth = len(layers) - 1
+    if depth < 1:
+        return z
+    arcs, whole = dealt_arcs(g), hub_salt(g) == 1
+    w = [None if k == 0 and not first_weights else weights(layers[k], layers[k + 1], seed, k, init) for k in range(depth)]
+    z = written(ready(z, w[0]))
+    for k in range(depth):
+        width = layers[k + 1]
+        plan = plan_for(g.n, width, 2 * g.m / max(1, g.n)) if how == "auto" else how
+        z = written(propagate(arcs, z, width, g.n, plan, after_sum(act, normalise, w[k + 1] if k + 1 < depth else None), whole))
     return z
 
 

@@ -11,8 +11,10 @@ from collections.abc import Callable, Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 ARCS_AT_ONCE = 1 << 15
+HUB_ARCS = 1 << 22  # most arcs of one node in a task
 
 
 def matrix(column: pa.Array, width: int) -> np.ndarray:
@@ -26,31 +28,37 @@ def vectors(rows: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype="i4") * rows.shape[1]), pa.array(rows.reshape(-1)))
 
 
-def summed_by(batches: Iterator[tuple[np.ndarray, np.ndarray]]) -> Iterable[tuple[np.ndarray, np.ndarray]]:
-    """Sums of the rows of each id, for ids that come sorted; the last one waits for the next batch."""
-    held: tuple[int, np.ndarray] | None = None
-    for ids, rows in batches:
+def summed_by(batches: Iterable[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Sums of the rows of each id, with the id's tag, for (ids, tags, rows) that come sorted; the last id waits for the next batch."""
+    held: tuple[int, int, np.ndarray] | None = None
+    for ids, tags, rows in batches:
         if not len(ids):
             continue
         starts = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
-        sums, own = np.add.reduceat(rows, starts, axis=0, dtype="f8"), ids[starts]
+        sums, own, tag = np.add.reduceat(rows, starts, axis=0, dtype="f8"), ids[starts], tags[starts]
         if held is not None:
             if held[0] == own[0]:
-                sums[0] += held[1]
+                sums[0] += held[2]
             else:
-                yield np.array([held[0]]), held[1][None]
-        held = (int(own[-1]), sums[-1])
+                yield np.array([held[0]]), np.array([held[1]]), held[2][None]
+        held = (int(own[-1]), int(tag[-1]), sums[-1].copy())
         if len(own) > 1:
-            yield own[:-1], sums[:-1]
+            yield own[:-1], tag[:-1], sums[:-1]
     if held is not None:
-        yield np.array([held[0]]), held[1][None]
+        yield np.array([held[0]]), np.array([held[1]]), held[2][None]
+
+
+def hub_salt(g) -> int:
+    """Into how many parts the arcs of a node are dealt, so that no task has over ``HUB_ARCS`` of one node's."""
+    most = g.nodes.agg(F.max("deg")).first()[0] or 0
+    return max(1, -(-most // HUB_ARCS))
 
 
 def by_source(arcs: DataFrame, columns: list[str], salt: int = 1) -> DataFrame:
-    """Arcs of one ``src`` in one partition, in order. With ``salt``, a hub's arcs are spread over so many."""
+    """Arcs of one ``src`` in one partition, in order. With ``salt``, a node's arcs are spread over so many."""
     narrow = arcs.select("src", *columns)
     if salt > 1:
-        return narrow.repartition("src", narrow["dst"] % salt).sortWithinPartitions("src")
+        return narrow.repartition("src", F.pmod(F.xxhash64("dst"), F.lit(salt))).sortWithinPartitions("src")
     return narrow.repartition("src").sortWithinPartitions("src")
 
 
@@ -63,9 +71,9 @@ def reduce_arcs(arcs: DataFrame, columns: list[str], width: int, rows: Callable[
                 at = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
                 for k in range(0, batch.num_rows, ARCS_AT_ONCE):
                     part = [c[k : k + ARCS_AT_ONCE] for c in at]
-                    yield part[0], rows(*part[1:])
+                    yield part[0], part[0], rows(*part[1:])
 
-        for ids, sums in summed_by(parts()):
+        for ids, _, sums in summed_by(parts()):
             yield pa.RecordBatch.from_arrays([pa.array(ids), vectors(sums)], ["id", "v"])
 
     out = by_source(arcs, columns, salt).mapInArrow(run, "id long, v array<float>")
@@ -76,7 +84,7 @@ def sum_vectors(df: DataFrame, width: int) -> DataFrame:
     """(id, v) summed by id."""
 
     def run(batches: Iterable[pa.RecordBatch]):
-        for ids, sums in summed_by((b.column(0).to_numpy(), matrix(b.column(1), width)) for b in batches if b.num_rows):
+        for ids, _, sums in summed_by((b.column(0).to_numpy(), b.column(0).to_numpy(), matrix(b.column(1), width)) for b in batches if b.num_rows):
             yield pa.RecordBatch.from_arrays([pa.array(ids), vectors(sums)], ["id", "v"])
 
     return df.select("id", "v").repartition("id").sortWithinPartitions("id").mapInArrow(run, "id long, v array<float>")

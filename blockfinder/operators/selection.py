@@ -8,21 +8,21 @@ total volume of the scope, it stays if c * S <= a * b, and if both halves have o
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.state import settle
+from ..plans.state import written
 from . import bisect
 from .graph import Graph
 
 SCOPES = ("graph", "subset", "induced")
-LOCAL_NODES = 250_000
+LOCAL_NODES = bisect.START_ROWS
 LOCAL_EDGES = 8_000_000
-FIT_ROWS = 32_768
-BROADCAST_SETS = 100_000
+OPEN_AT_ONCE = 4_096  # sets in a job; what the driver holds of each is its plane
 TREE = "path string, parent string, n long, vol long, m_in long, cut long, verdict string, w array<double>, b double"
 
 
@@ -145,63 +145,81 @@ def finish_sets(nodes: DataFrame, edges: DataFrame, total: int, eps: int, null_s
 
 
 def hierarchical(
-    g: Graph, z: DataFrame, eps: int = 5, null_scope: str = "graph", max_depth: int | None = None, local_below: int = LOCAL_NODES, fit_rows: int = FIT_ROWS, max_iter: int = 20, n_init: int = 3, init: str = "far", seed: int = 0, isolates: str = "bucket"
+    g: Graph, z: DataFrame, eps: int = 5, null_scope: str = "graph", max_depth: int | None = None, local_below: int = LOCAL_NODES, max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, isolates: str = "bucket", **how
 ) -> tuple[DataFrame, DataFrame]:
     """Blocks (id, block) and tree of ``z`` (id, v). A block's name is its least id.
 
-    Nodes without edges are one block of their own (``bucket``) or each one (``singleton``), never part of a split.
+    Sets of at most ``local_below`` nodes (and ``LOCAL_EDGES`` inner edges) are finished in a task each; larger ones are
+    split level by level, each step a job over all of them. Both go by the same planes, so the limit does not change
+    the blocks. Nodes without edges are one block of their own (``bucket``) or each one (``singleton``), never part of a
+    split.
     """
     if null_scope not in SCOPES:
         raise ValueError(f"null_scope must be one of {SCOPES}")
-    how = {"max_iter": max_iter, "n_init": n_init, "init": init, "seed": seed}
-    total = 2 * g.m
+    how |= {"max_iter": max_iter, "n_init": n_init, "init": init, "seed": seed}
+    total, spark = 2 * g.m, g.nodes.sparkSession
     max_depth = max_depth or 4 * max(4, math.ceil(math.log2(max(2, g.n))))
-    nodes = z.select("id", "v").join(g.nodes.where("deg > 0"), "id").select("id", "deg", "v", F.lit("").alias("path"))
+    nodes = z.select("id", "v").join(g.nodes.where("deg > 0"), "id").select("id", "deg", F.col("v").cast("array<float>").alias("v"), F.lit("").alias("path"))
     edges = g.arcs.where("src < dst").select("src", "dst", F.lit("").alias("path"))
     leaves: list[DataFrame] = []
     trees: list[DataFrame] = []
-    sizes = {"": (g.n, g.m)} if g.m else {}
+    sizes = {"": (nodes.count(), g.m)} if g.m else {}
     while sizes:
         small = {p for p, (n, m) in sizes.items() if n <= local_below and m <= LOCAL_EDGES}
         if small:
-            here = nodes if len(small) == len(sizes) else nodes.where(F.col("path").isin(*small))
-            done = settle(finish_sets(here, edges if here is nodes else edges.where(F.col("path").isin(*small)), total, eps, null_scope, max_depth, how))
+            here = nodes if len(small) == len(sizes) else of_sets(nodes, small)
+            done = written(finish_sets(here, edges if here is nodes else of_sets(edges, small), total, eps, null_scope, max_depth, how))
             leaves.append(done.where("id is not null").select("id", "path"))
             trees.append(done.where("id is null").drop("id"))
             if here is nodes:
                 break
-            nodes, edges = nodes.where(~F.col("path").isin(*small)), edges.where(~F.col("path").isin(*small))
-        open_sets = g.nodes.sparkSession.createDataFrame([(p, n) for p, (n, _) in sizes.items() if p not in small], "path string, n long")
-        planes = settle(bisect.fit_sets(nodes, open_sets, fit_rows, **how))
-        sided = settle(bisect.assign_side(nodes, F.broadcast(planes) if len(sizes) <= BROADCAST_SETS else planes))
-        stats = {r["path"]: r for r in split_stats(sided, edges).collect()}
-        split = {p for p, r in stats.items() if len(p) < max_depth and stays(*[r[c] for c in ("n0", "n1", "vol0", "vol1", "cut", "in0", "in1")], total, eps, null_scope)}
-        # The half with the least id is called 0.
-        turned = {p for p, r in stats.items() if r["least0"] is not None and r["least1"] is not None and r["least1"] < r["least0"]}
-        facts = [(p, p[:-1] if p else None, r["n0"] + r["n1"], r["vol0"] + r["vol1"], r["in0"] + r["in1"] + r["cut"], r["cut"], "split" if p in split else "stop", 1 - 2 * int(p in turned)) for p, r in stats.items()]
-        tree = g.nodes.sparkSession.createDataFrame(facts, "path string, parent string, n long, vol long, m_in long, cut long, verdict string, sign int").join(planes, "path")
-        trees.append(tree.select("path", "parent", "n", "vol", "m_in", "cut", "verdict", F.transform("w", lambda x: x * F.col("sign")).alias("w"), (F.col("b") * F.col("sign")).alias("b")))
-        flip = F.col("path").isin(*turned) if turned else F.lit(False)
-        sided = sided.withColumn("side", F.when(flip, 1 - F.col("side")).otherwise(F.col("side")))
-        going = F.col("path").isin(*split) if split else F.lit(False)
-        leaves.append(sided.where(~going).select("id", "path"))
-        kept = with_sides(edges.where(going), sided.select("id", "side")).where("s0 = s1")
-        edges = settle(kept.select("src", "dst", F.concat("path", F.col("s0").cast("string")).alias("path")))
-        nodes = settle(sided.where(going).select("id", "deg", "v", F.concat("path", F.col("side").cast("string")).alias("path")))
-        inner = {r["path"]: r["n"] for r in edges.groupBy("path").agg(F.count(F.lit(1)).alias("n")).collect()}
-        sizes = {r["path"]: (r["n"], inner.get(r["path"], 0)) for r in nodes.groupBy("path").agg(F.count(F.lit(1)).alias("n")).collect()}
+        open_sets = sorted(set(sizes) - small)
+        next_nodes, next_edges, sizes_now = [], [], sizes
+        sizes = {}
+        for at in range(0, len(open_sets), OPEN_AT_ONCE):
+            wave = open_sets[at : at + OPEN_AT_ONCE]
+            wave_nodes, wave_edges = (nodes, edges) if len(wave) == len(sizes_now) else (of_sets(nodes, wave), of_sets(edges, wave))
+            planes = bisect.two_means(wave_nodes, {p: sizes_now[p][0] for p in wave}, **how)
+            sided = written(bisect.assign_side(wave_nodes, planes))
+            stats = {r["path"]: r for r in split_stats(sided, wave_edges).collect()}
+            facts, going = [], []
+            for p, r in stats.items():
+                keep = len(p) < max_depth and stays(*[r[c] for c in ("n0", "n1", "vol0", "vol1", "cut", "in0", "in1")], total, eps, null_scope)
+                # The half with the least id is called 0.
+                turned = r["least0"] is not None and r["least1"] is not None and r["least1"] < r["least0"]
+                w, b = planes[p]
+                facts.append((p, p[:-1] if p else None, r["n0"] + r["n1"], r["vol0"] + r["vol1"], r["in0"] + r["in1"] + r["cut"], r["cut"], "split" if keep else "stop", (-w if turned else w).tolist(), -b if turned else b))
+                if keep:
+                    going.append((p, turned))
+                    halves = ((r["n0"], r["in0"]), (r["n1"], r["in1"]))
+                    sizes[p + "0"], sizes[p + "1"] = halves[::-1] if turned else halves
+            trees.append(written(spark.createDataFrame(facts, TREE)))
+            ways = F.broadcast(spark.createDataFrame(going, "path string, turned boolean"))
+            marked = sided.join(ways, "path", "left")
+            leaves.append(marked.where("turned is null").select("id", "path"))
+            side = F.when(F.col("turned"), 1 - F.col("side")).otherwise(F.col("side"))
+            placed = marked.where("turned is not null").select("id", "deg", "v", F.concat("path", side.cast("string")).alias("path"))
+            next_nodes.append(written(placed))
+            one, two = (next_nodes[-1].select(F.col("id").alias(e), F.col("path").alias(p)) for e, p in (("src", "p"), ("dst", "q")))
+            next_edges.append(written(wave_edges.select("src", "dst").join(one, "src").join(two, "dst").where("p = q").select("src", "dst", F.col("p").alias("path"))))
+        nodes, edges = reduce(DataFrame.unionByName, next_nodes), reduce(DataFrame.unionByName, next_edges)
     alone = g.nodes.where("deg = 0").select("id", (F.concat(F.lit("isolated"), F.col("id").cast("string")) if isolates == "singleton" else F.lit("isolated")).alias("path"))
     placed = alone
     for part in leaves:
         placed = placed.unionByName(part)
-    return settle(label(placed)), union_all(g, trees)
+    return written(label(placed)), union_all(g, trees)
+
+
+def of_sets(rows: DataFrame, paths) -> DataFrame:
+    """The rows of the sets with these paths."""
+    return rows.join(F.broadcast(rows.sparkSession.createDataFrame([(p,) for p in paths], "path string")), "path", "left_semi").select(rows.columns)
 
 
 def union_all(g: Graph, trees: list[DataFrame]) -> DataFrame:
     out = g.nodes.sparkSession.createDataFrame([], TREE)
     for t in trees:
         out = out.unionByName(t)
-    return settle(out)
+    return written(out)
 
 
 def label(placed: DataFrame) -> DataFrame:

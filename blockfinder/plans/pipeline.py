@@ -11,7 +11,16 @@ from ..operators import features, gnn, selection
 from ..operators.graph import Graph
 from .state import settle
 
-LAYERS = (256, 128, 128, 64)
+
+
+def layers_for(n: int) -> tuple[int, ...]:
+    """Layer sizes for a graph of ``n`` nodes.
+
+    Each pass over the neighbours shrinks the noise against the communities, of which there is the more the more nodes
+    there are to a block; a layer as wide as the one before, with orthonormal weights, keeps what is told apart.
+    """
+    return (256,) * 6 if n <= 30_000 else (384,) * 8
+
 
 
 @dataclass(frozen=True)
@@ -23,17 +32,19 @@ class Result:
     timings: dict[str, float] = field(default_factory=dict)
 
 
-def partition(g: Graph, kind: str = "cut", layers: tuple[int, ...] = LAYERS, seed: int = 0, ablation: str | None = None, act: str = "tanh", init: str = "gaussian", normalise: bool = True, scale: str = "std", how: str = "auto", **select) -> Result:
+def partition(g: Graph, kind: str = "cut", layers: tuple[int, ...] | None = None, seed: int = 0, ablation: str | None = None, act: str = "tanh", weights: str = "orthogonal", normalise: bool = True, scale: str = "std", how: str = "auto", **select) -> Result:
     """Blocks of ``g``, by the cut or the modularity variant (``kind``).
 
     ``ablation``: ``no_features`` puts the structure matrix itself into the first layer; ``no_embedding`` bisects the
-    features. Other arguments go to the model selection.
+    features. ``layers``: by default ``layers_for``; ``weights``: the law of the layers' weights. Other arguments go to the
+    model selection.
     """
+    layers = layers or layers_for(g.n)
     began = time.perf_counter()
     skip = ablation == "no_features"
     y = settle(features.project_through(g, kind, layers[1], seed) if skip else features.project(g, kind, layers[0], seed, scale))
     drawn = time.perf_counter()
-    z = y if ablation == "no_embedding" else settle(gnn.forward(g, y, layers, seed, act, init, normalise, not skip, how))
+    z = y if ablation == "no_embedding" else settle(gnn.forward(g, y, layers, seed, act, weights, normalise, not skip, how))
     embedded = time.perf_counter()
     blocks, tree = selection.hierarchical(g, z, seed=seed, **select)
     done = time.perf_counter()

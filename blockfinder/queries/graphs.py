@@ -383,7 +383,7 @@ def nation_params(spark, sf, ratio=2.5, seed=SEED):
 A, B = generator.THETA_LOW ** (1 - generator.THETA_POWER), generator.THETA_HIGH ** (1 - generator.THETA_POWER)
 THETA_SQL = f"(pow({A!r} + {hash01_sql(SEED, 'c_custkey', '7')} * {B - A!r}, {1 / (1 - generator.THETA_POWER)!r}) / {generator.theta_mean()!r})"
 NODES_SQL = f"np AS (SELECT c_custkey AS id, c_nationkey AS block, {THETA_SQL} AS theta FROM customer)"
-SOLVE_SQL = f"{NODES_SQL}, bsum AS (SELECT block, count(*) AS n, sum(theta) AS t, sum(theta * theta) AS q FROM np GROUP BY block), w AS (SELECT sum(n) * 15.0 * 2.5 / 3.5 / sum((t * t - q) / 2) AS inside, sum(n) * 15.0 / 3.5 / ((sum(t) * sum(t) - sum(t * t)) / 2) AS across FROM bsum)"
+SOLVE_SQL = f"{NODES_SQL}, sums AS (SELECT block, count(*) AS n, sum(theta) AS t, sum(theta * theta) AS q FROM np GROUP BY block), w AS (SELECT sum(n) * 15.0 / 3.5 / ((sum(t) * sum(t) - sum(t * t)) / 2) AS across, sum(n) * 15.0 * 2.5 / 3.5 / sum(t) AS within FROM sums), bsum AS (SELECT block, n, t, q, within * t / ((t * t - q) / 2) AS inside FROM sums CROSS JOIN w), npi AS (SELECT np.*, inside FROM np JOIN bsum USING (block))"
 
 
 @query(f"WITH {NODES_SQL} SELECT id, block, round(theta, 9) AS theta FROM np")
@@ -391,7 +391,7 @@ def benchmark_params(spark, sf):
     return nation_params(spark, sf).nodes.select("id", "block", F.round("theta", 9).alias("theta"))
 
 
-@query(f"WITH {SOLVE_SQL} SELECT x.block AS r, y.block AS s, CAST(CASE WHEN x.block = y.block THEN x.n * (x.n - 1) / 2 ELSE x.n * y.n END AS BIGINT) AS cells, round(CASE WHEN x.block = y.block THEN (x.t * x.t - x.q) / 2 * inside ELSE x.t * y.t * across END, 6) AS mass FROM bsum x JOIN bsum y ON x.block <= y.block CROSS JOIN w")
+@query(f"WITH {SOLVE_SQL} SELECT x.block AS r, y.block AS s, CAST(CASE WHEN x.block = y.block THEN x.n * (x.n - 1) / 2 ELSE x.n * y.n END AS BIGINT) AS cells, round(CASE WHEN x.block = y.block THEN (x.t * x.t - x.q) / 2 * x.inside ELSE x.t * y.t * across END, 6) AS mass FROM bsum x JOIN bsum y ON x.block <= y.block CROSS JOIN w")
 def rates_block_pairs(spark, sf):
     return generator.rates_df(nation_params(spark, sf)).select("r", "s", "cells", F.round("mass", 6).alias("mass"))
 
@@ -401,16 +401,20 @@ def theta_prefix(spark, sf):
     return generator.prefix(nation_params(spark, sf)).select("block", "pos", "id", F.round("upto", 6).alias("upto"))
 
 
-@query(f"WITH {SOLVE_SQL} SELECT x.id, round(sum(CASE WHEN x.block = y.block THEN inside ELSE across END * x.theta * y.theta), 6) AS row_mass FROM np x JOIN np y ON x.block = 0 AND y.id > x.id CROSS JOIN w GROUP BY x.id")
+@query(f"WITH {SOLVE_SQL} SELECT x.id, y.block AS s, round(sum(CASE WHEN x.block = y.block THEN x.inside ELSE across END * x.theta * y.theta), 6) AS row_mass FROM npi x JOIN npi y ON x.block < y.block OR (x.block = y.block AND y.id > x.id) CROSS JOIN w GROUP BY x.id, y.block")
 def range_sum_cells(spark, sf):
-    """The summed rate of each row of the table of cells i < j, for the nodes of one block."""
+    """The summed rate of each node's row in the table of cells of each block pair, from prefix sums; the SQL adds up cells."""
     p = nation_params(spark, sf)
-    one, two = p.nodes.where("block = 0").select("id", F.col("block").alias("b0"), F.col("theta").alias("t0")), p.nodes.select(F.col("id").alias("j"), F.col("block").alias("b1"), F.col("theta").alias("t1"))
-    rate = F.broadcast(p.omega_df())
-    return one.join(two, F.col("j") > F.col("id")).join(rate, (F.least("b0", "b1") == F.col("r")) & (F.greatest("b0", "b1") == F.col("s"))).groupBy("id").agg(F.round(F.sum(F.col("rate") * F.col("t0") * F.col("t1")), 6).alias("row_mass"))
+    rows = generator.prefix(p)
+    whole = rows.groupBy(F.col("block").alias("s")).agg(F.sum("theta").alias("whole"), F.count(F.lit(1)).alias("n"))
+    rate = p.omega_df().select(F.col("r").alias("block"), "s", "rate")
+    cells = rows.join(F.broadcast(rate), "block").join(F.broadcast(whole), "s")
+    same = F.col("block") == F.col("s")
+    mass = F.col("rate") * F.col("theta") * (F.col("whole") - F.when(same, F.col("upto")).otherwise(0.0))
+    return cells.where(~same | (F.col("pos") < F.col("n") - 1)).select("id", "s", F.round(mass, 6).alias("row_mass"))
 
 
-CELLS_SQL = f"WITH {SOLVE_SQL} SELECT x.id AS src, y.id AS dst FROM np x JOIN np y ON x.id < y.id CROSS JOIN w WHERE {hash01_sql(SEED, 'x.id', 'y.id')} < 1 - exp(-x.theta * y.theta * CASE WHEN x.block = y.block THEN inside ELSE across END)"
+CELLS_SQL = f"WITH {SOLVE_SQL} SELECT x.id AS src, y.id AS dst FROM npi x JOIN npi y ON x.id < y.id CROSS JOIN w WHERE {hash01_sql(SEED, 'x.id', 'y.id')} < 1 - exp(-x.theta * y.theta * CASE WHEN x.block = y.block THEN x.inside ELSE across END)"
 
 
 @query(CELLS_SQL)
@@ -418,12 +422,11 @@ def planted_cells(spark, sf):
     return generator.cells(nation_params(spark, sf), SEED, 20_000)
 
 
-@query(f"WITH {SOLVE_SQL}, c AS (SELECT least(x.block, y.block) AS r, greatest(x.block, y.block) AS s, 1 - exp(-x.theta * y.theta * CASE WHEN x.block = y.block THEN inside ELSE across END) AS p FROM np x JOIN np y ON x.id < y.id CROSS JOIN w WHERE x.block IN (0, 1, 2) AND y.block IN (0, 1, 2)) SELECT r, s, count(*) AS cells, round(sum(p), 4) AS expected FROM c GROUP BY r, s")
+@query(f"WITH {SOLVE_SQL}, c AS (SELECT least(x.block, y.block) AS r, greatest(x.block, y.block) AS s, 1 - exp(-x.theta * y.theta * CASE WHEN x.block = y.block THEN x.inside ELSE across END) AS p FROM npi x JOIN npi y ON x.id < y.id CROSS JOIN w) SELECT r, s, count(*) AS cells, round(sum(p), 4) AS expected FROM c GROUP BY r, s")
 def planted_expected_edges(spark, sf):
-    """Expected simple edges of the pairs of three blocks, cell by cell."""
+    """Expected simple edges of all block pairs, cell by cell."""
     p = nation_params(spark, sf)
-    own = p.nodes.where("block in (0, 1, 2)")
-    one, two = own.select("id", F.col("block").alias("b0"), F.col("theta").alias("t0")), own.select(F.col("id").alias("j"), F.col("block").alias("b1"), F.col("theta").alias("t1"))
+    one, two = p.nodes.select("id", F.col("block").alias("b0"), F.col("theta").alias("t0")), p.nodes.select(F.col("id").alias("j"), F.col("block").alias("b1"), F.col("theta").alias("t1"))
     cells = one.join(two, F.col("j") > F.col("id")).withColumn("lo", F.least("b0", "b1")).withColumn("hi", F.greatest("b0", "b1")).join(F.broadcast(p.omega_df()), (F.col("lo") == F.col("r")) & (F.col("hi") == F.col("s")))
     return cells.groupBy("r", "s").agg(F.count(F.lit(1)).alias("cells"), F.round(F.sum(1 - F.exp(-F.col("t0") * F.col("t1") * F.col("rate"))), 4).alias("expected"))
 

@@ -80,7 +80,7 @@ def test_features_match_dense_algebra(triangles):
             assert rows_of(features.from_factors(features.factored(triangles, kind, 5, 3), kind, 14), ids) == pytest.approx(x @ theta, abs=1e-5)
 
 
-@pytest.mark.parametrize("how", ["broadcast", "join"])
+@pytest.mark.parametrize("how", ["broadcast", "blocks", "join"])
 def test_forward_pass_matches_dense_algebra(triangles, how):
     ids, a = dense(triangles)
     hat = a + np.eye(len(a))
@@ -114,15 +114,17 @@ def test_two_means_against_brute_force():
     assert not (np.ones((4, 2)) @ bisect.fit(np.ones((4, 2)), np.arange(4))[0] > bisect.fit(np.ones((4, 2)), np.arange(4))[1]).any()
 
 
-def test_exact_two_means_as_jobs(spark):
+def test_two_means_as_jobs_is_the_same_as_in_memory(spark):
     rng = np.random.default_rng(1)
-    z = np.concatenate([rng.normal(0, 0.2, (20, 2)), rng.normal(4, 0.2, (15, 2))])
-    assign = spark.createDataFrame([("a" if k % 2 else "b", k, row.tolist()) for k, row in enumerate(z)], "path string, id long, v array<double>")
-    sides = {r["id"]: (r["path"], r["side"]) for r in bisect.two_means(assign, 2).collect()}
-    for path in "ab":
-        one = {s for k, (p, s) in sides.items() if p == path and k < 20}
-        two = {s for k, (p, s) in sides.items() if p == path and k >= 20}
-        assert len(one) == len(two) == 1 and one != two
+    z = np.concatenate([rng.normal(0, 1.0, (200, 3)), rng.normal(2, 1.0, (150, 3))]).astype("f4")
+    assign = spark.createDataFrame([("a" if k % 2 else "b", k, 1, row.tolist()) for k, row in enumerate(z)], "path string, id long, deg long, v array<float>").repartition(5)
+    for rows in (40, 10_000):
+        planes = bisect.two_means(assign, {"a": 175, "b": 175}, rows=rows)
+        sides = {r["id"]: r["side"] for r in bisect.assign_side(assign, planes).collect()}
+        for path, own in (("a", np.arange(1, 350, 2)), ("b", np.arange(0, 350, 2))):
+            w, b = bisect.fit(z[own], own, rows=rows)
+            assert planes[path][0] == pytest.approx(w) and planes[path][1] == pytest.approx(b)
+            assert [sides[k] for k in own.tolist()] == (z[own].astype("f8") @ w > b).astype(int).tolist()
 
 
 def test_planted_blocks_are_found(spark, planted):
@@ -140,10 +142,20 @@ def test_planted_blocks_are_found(spark, planted):
 
 def test_levels_as_jobs_give_the_same_blocks(spark, planted):
     _, g = planted
-    one = partition(g, "cut", (128, 64, 32))
-    two = partition(g, "cut", (128, 64, 32), local_below=150)
-    assert {r["id"]: r["block"] for r in one.blocks.collect()} == {r["id"]: r["block"] for r in two.blocks.collect()}
-    assert one.tree.count() == two.tree.count()
+    z = partition(g, "cut", (128, 64, 32)).embedding
+    for rows in (100, 32_768):
+        found = [selection.hierarchical(g, z, local_below=n, rows=rows) for n in (600, 150, 1)]
+        blocks = [{r["id"]: r["block"] for r in b.collect()} for b, _ in found]
+        assert blocks[0] == blocks[1] == blocks[2]
+        assert len({t.count() for _, t in found}) == 1
+
+
+def test_sets_in_waves(spark, planted, monkeypatch):
+    _, g = planted
+    z = partition(g, "cut", (128, 64, 32)).embedding
+    whole = {r["id"]: r["block"] for r in selection.hierarchical(g, z)[0].collect()}
+    monkeypatch.setattr(selection, "OPEN_AT_ONCE", 2)
+    assert {r["id"]: r["block"] for r in selection.hierarchical(g, z, local_below=20)[0].collect()} == whole
 
 
 def test_partitioning_does_not_change_blocks(spark, planted):
