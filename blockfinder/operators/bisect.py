@@ -50,7 +50,7 @@ def plane(centres: np.ndarray) -> tuple[np.ndarray, float]:
     return w, float((centres[1] ** 2).sum() - (centres[0] ** 2).sum()) / 2
 
 
-def fit(z: np.ndarray, ids: np.ndarray, max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> tuple[np.ndarray, float]:
+def fit(z: np.ndarray, ids: np.ndarray, max_iter: int = 100, n_init: int = 1, init: str = "axis", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> tuple[np.ndarray, float]:
     """The plane between the halves of a set that is in memory.
 
     Up to ``rows`` vectors: the best run on all of them. Beyond that, the best run on about ``rows`` of them, taken by a
@@ -112,7 +112,7 @@ def best_run(z: np.ndarray, ids: np.ndarray, max_iter: int, n_init: int, init: s
     return best
 
 
-def two_means(assign: DataFrame, sizes: dict[str, int], max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> dict[str, tuple[np.ndarray, float]]:
+def two_means(assign: DataFrame, sizes: dict[str, int], max_iter: int = 100, n_init: int = 1, init: str = "axis", seed: int = 0, rows: int = START_ROWS, steps: int = STEPS) -> dict[str, tuple[np.ndarray, float]]:
     """The planes of all sets of ``assign`` (path, id, v), whose sizes are given, as ``fit`` makes them: all sets in one job a step.
 
     What reaches the driver are the planes. Sums are made in the tasks, one vector for each set, and added up by set.

@@ -19,6 +19,7 @@ from ..functions.rng import hash01, mixed
 THETA_LOW, THETA_HIGH, THETA_POWER = 0.25, 3.0, 2.5
 STRIP_EDGES = 200_000  # expected edges of one strip of a block pair
 CELLS_UP_TO = 5_000
+BROADCAST_NODES = 4_000_000  # 64 MB of ids and theta
 
 
 @dataclass(frozen=True)
@@ -132,28 +133,50 @@ def prefix(params: Params) -> DataFrame:
     return params.nodes.select("block", (F.row_number().over(w) - 1).alias("pos"), "id", "theta", (upto - F.col("theta")).alias("before"), upto.alias("upto"))
 
 
-def range_sum(theta_r: np.ndarray, theta_s: np.ndarray | None, rate: float, first: int, last: int) -> float:
-    """The summed rate of cells ``first`` to ``last`` (inclusive) of a block pair's table of cells, in row order.
+@dataclass(frozen=True)
+class CellMass:
+    """Summed rates over the cells of a block pair's table, in row order: prefix sums are made once, each sum is O(1).
 
-    ``theta_s`` None: the pairs i < j inside a block. Two one-dimensional prefix sums give it in O(1).
+    Two blocks: rows and columns by id. One block (``theta_s`` None): the pairs i < j, where a place is found by the
+    inverse of the triangle's row lengths.
     """
-    return mass_before(theta_r, theta_s, rate, last + 1) - mass_before(theta_r, theta_s, rate, first)
+
+    theta_r: np.ndarray
+    upto_r: np.ndarray
+    upto_s: np.ndarray
+    rows: np.ndarray | None
+    rate: float
+
+    @staticmethod
+    def of(theta_r: np.ndarray, theta_s: np.ndarray | None, rate: float) -> CellMass:
+        upto = np.r_[0.0, np.cumsum(theta_r)]
+        if theta_s is not None:
+            return CellMass(theta_r, upto, np.r_[0.0, np.cumsum(theta_s)], None, rate)
+        return CellMass(theta_r, upto, upto, np.r_[0.0, np.cumsum(theta_r * (upto[-1] - upto[1:]))], rate)
+
+    def before(self, cell: int) -> float:
+        """The mass of the first ``cell`` cells."""
+        n = len(self.theta_r)
+        if self.rows is None:
+            row, column = divmod(cell, len(self.upto_s) - 1)
+            partial = self.theta_r[row] * self.upto_s[column] if row < n else 0.0
+            return self.rate * (self.upto_r[row] * self.upto_s[-1] + partial)
+        if cell >= n * (n - 1) // 2:
+            return self.rate * self.rows[-1]
+        # Rows before row i hold i (2n - 1 - i) / 2 cells.
+        row = (2 * n - 1 - math.isqrt((2 * n - 1) ** 2 - 8 * cell)) // 2
+        while row * (2 * n - 1 - row) // 2 > cell:
+            row -= 1
+        while (row + 1) * (2 * n - 2 - row) // 2 <= cell:
+            row += 1
+        column = row + 1 + cell - row * (2 * n - 1 - row) // 2
+        return self.rate * (self.rows[row] + self.theta_r[row] * (self.upto_r[column] - self.upto_r[row + 1]))
 
 
-def mass_before(theta_r: np.ndarray, theta_s: np.ndarray | None, rate: float, cell: int) -> float:
-    if theta_s is not None:
-        row, column = divmod(cell, len(theta_s))
-        partial = theta_r[row] * theta_s[:column].sum() if row < len(theta_r) else 0.0
-        return rate * (theta_r[:row].sum() * theta_s.sum() + partial)
-    n, total, left = len(theta_r), 0.0, cell
-    for row in range(n):
-        width = n - 1 - row
-        take = min(width, left)
-        total += theta_r[row] * theta_r[row + 1 : row + 1 + take].sum()
-        left -= take
-        if not left:
-            break
-    return rate * total
+def range_sum(theta_r: np.ndarray, theta_s: np.ndarray | None, rate: float, first: int, last: int) -> float:
+    """The summed rate of cells ``first`` to ``last`` (inclusive) of a block pair's table; ``theta_s`` None: the pairs i < j inside a block."""
+    mass = CellMass.of(theta_r, theta_s, rate)
+    return mass.before(last + 1) - mass.before(first)
 
 
 def cells(params: Params, seed: int = 0, limit: int = CELLS_UP_TO) -> DataFrame:
@@ -208,23 +231,44 @@ def plan_strips(params: Params, strip_edges: int = STRIP_EDGES) -> list[tuple[in
     return out
 
 
-def skip(params: Params, seed: int = 0, strip_edges: int = STRIP_EDGES) -> DataFrame:
-    """(src, dst, weight) by jumps, strip by strip. A strip's randomness depends on the seed and its place alone."""
+def skip(params: Params, seed: int = 0, strip_edges: int = STRIP_EDGES, broadcast_nodes: int = BROADCAST_NODES) -> DataFrame:
+    """(src, dst, weight) by jumps, strip by strip. A strip's randomness depends on the seed and its place alone.
+
+    Up to ``broadcast_nodes`` nodes, ids and theta of all of them go to each task; beyond that, those of a strip's two
+    blocks are joined to it. Edges are the same.
+    """
     spark = params.nodes.sparkSession
-    strips = spark.createDataFrame(plan_strips(params, strip_edges), "r int, s int, rate double, first long, last long")
+    strips = spark.createDataFrame(plan_strips(params, strip_edges), "r int, s int, rate double, first long, last long").repartition(spark.sparkContext.defaultParallelism * 2, "r", "s", "first")
+    kind = "src long, dst long, weight long"
+
+    def drawn(r, s, rate, first, last, own):
+        src, dst, weight = draw_strip(*own, rate, first, last, r == s, np.random.default_rng([seed, r, s, first]))
+        return pa.RecordBatch.from_arrays([pa.array(np.minimum(src, dst)), pa.array(np.maximum(src, dst)), pa.array(weight)], ["src", "dst", "weight"])
+
+    if params.nodes.count() <= broadcast_nodes:
+        table = params.nodes.select("block", "id", "theta").toArrow().sort_by([("block", "ascending"), ("id", "ascending")])
+        block, ids, theta = (table[c].to_numpy() for c in ("block", "id", "theta"))
+        starts = {int(x): (int(a), int(b)) for x, a, b in zip(*np.unique(block, return_index=True), np.r_[np.unique(block, return_index=True)[1][1:], len(block)], strict=True)}
+        shared = spark.sparkContext.broadcast((ids, theta))
+
+        def here(batches):
+            ids, theta = shared.value
+            for batch in batches:
+                for r, s, rate, first, last in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                    (a, b), (c, d) = starts[r], starts[s]
+                    yield drawn(r, s, rate, first, last, (ids[a:b], theta[a:b], ids[c:d], theta[c:d]))
+
+        return strips.mapInArrow(here, kind)
     arrays = block_arrays(params)
     left, right = (arrays.select(F.col("block").alias(c), F.col("ids").alias(f"ids_{c}"), F.col("theta").alias(f"theta_{c}")) for c in ("r", "s"))
-    work = strips.repartition("r", "s", "first").join(left, "r").join(right, "s").select("r", "s", "rate", "first", "last", "ids_r", "theta_r", "ids_s", "theta_s")
+    work = strips.join(left, "r").join(right, "s").select("r", "s", "rate", "first", "last", "ids_r", "theta_r", "ids_s", "theta_s")
 
     def run(batches):
         for batch in batches:
             for k in range(batch.num_rows):
-                r, s, rate, first, last = (batch.column(c)[k].as_py() for c in range(5))
-                own = [batch.column(c)[k].values.to_numpy() for c in range(5, 9)]
-                src, dst, weight = draw_strip(*own, rate, first, last, r == s, np.random.default_rng([seed, r, s, first]))
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(src, dst)), pa.array(np.maximum(src, dst)), pa.array(weight)], ["src", "dst", "weight"])
+                yield drawn(*[batch.column(c)[k].as_py() for c in range(5)], [batch.column(c)[k].values.to_numpy() for c in range(5, 9)])
 
-    return work.mapInArrow(run, "src long, dst long, weight long")
+    return work.mapInArrow(run, kind)
 
 
 def poisson_totals(params: Params, seed: int = 0) -> list[tuple[int, int, int]]:

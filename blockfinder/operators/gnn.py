@@ -12,11 +12,12 @@ from pyspark.sql import functions as F
 from ..functions.rng import gauss_block, uniform_block
 from ..plans.state import settle, written
 from .graph import Graph
-from .kernels import ARCS_AT_ONCE, by_source, hub_salt, matrix, summed_by, vectors
+from .kernels import arcs_at_once, by_source, hub_salt, matrix, summed_by, vectors
 
 #: Vectors of all nodes up to this size go to each task; larger ones are cut into blocks of the other size.
-BROADCAST_BYTES = 64 << 20
+BROADCAST_BYTES = 256 << 20
 BLOCK_BYTES = 96 << 20
+PARALLEL_BLOCKS = 4  # with fewer blocks, sources are cut finer, to keep all cores busy
 ACTIVATIONS: dict[str, Callable[[np.ndarray], np.ndarray]] = {"tanh": np.tanh, "relu": lambda x: np.maximum(x, 0), "identity": lambda x: x}
 
 
@@ -75,6 +76,7 @@ def propagate(arcs: DataFrame, z: DataFrame, width: int, n: int, how: str, finis
         for ids, deg, sums in summed_by(parts):
             yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(deg), vectors(finish(deg, sums))], ["id", "deg", "v"])
 
+    step = arcs_at_once(width)
     as_is: Finish = lambda deg, sums: sums
     if how == "broadcast":
         table = z.select("id", "v").toArrow()
@@ -86,8 +88,8 @@ def propagate(arcs: DataFrame, z: DataFrame, width: int, n: int, how: str, finis
             ids, rows = shared.value
             for batch in batches:
                 src, dst, deg = (c.to_numpy() for c in batch.columns)
-                for k in range(0, len(src), ARCS_AT_ONCE):
-                    part = slice(k, k + ARCS_AT_ONCE)
+                for k in range(0, len(src), step):
+                    part = slice(k, k + step)
                     yield src[part], deg[part], rows[np.searchsorted(ids, dst[part])]
 
         summed = arcs.mapInArrow(lambda batches: done(look_up(batches), finish if whole else as_is), schema)
@@ -95,9 +97,10 @@ def propagate(arcs: DataFrame, z: DataFrame, width: int, n: int, how: str, finis
             return summed
     elif how == "blocks":
         count = max(2, -(-4 * n * width // BLOCK_BYTES))
-        block = lambda c: F.pmod(F.xxhash64(c), F.lit(count)).cast("int")
-        cells = arcs.select(block("src").alias("i"), block("dst").alias("j"), "src", "dst", "deg").groupBy("i", "j")
-        sent = z.select(F.explode(F.sequence(F.lit(0), F.lit(count - 1))).alias("i"), block("id").alias("j"), "id", "v").groupBy("i", "j")
+        wide = max(count, -(-2 * z.sparkSession.sparkContext.defaultParallelism // count)) if count < PARALLEL_BLOCKS else count
+        block = lambda c, of: F.pmod(F.xxhash64(c), F.lit(of)).cast("int")
+        cells = arcs.select(block("src", wide).alias("i"), block("dst", count).alias("j"), "src", "dst", "deg").groupBy("i", "j")
+        sent = z.select(F.explode(F.sequence(F.lit(0), F.lit(wide - 1))).alias("i"), block("id", count).alias("j"), "id", "v").groupBy("i", "j")
 
         def meet(left, right):
             if not left.num_rows or not right.num_rows:
@@ -108,8 +111,7 @@ def propagate(arcs: DataFrame, z: DataFrame, width: int, n: int, how: str, finis
             by_src = np.argsort(left["src"].to_numpy(), kind="stable")
             src, deg = left["src"].to_numpy()[by_src], left["deg"].to_numpy()[by_src]
             place = order[np.searchsorted(ids, left["dst"].to_numpy()[by_src])]
-            cuts = range(0, len(src), ARCS_AT_ONCE)
-            parts = ((src[k : k + ARCS_AT_ONCE], deg[k : k + ARCS_AT_ONCE], rows[place[k : k + ARCS_AT_ONCE]]) for k in cuts)
+            parts = ((src[k : k + step], deg[k : k + step], rows[place[k : k + step]]) for k in range(0, len(src), step))
             return pa.Table.from_batches(list(done(parts, as_is)))
 
         summed = cells.cogroup(sent).applyInArrow(meet, schema)

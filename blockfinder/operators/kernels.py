@@ -13,7 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-ARCS_AT_ONCE = 1 << 15
+ROWS_AT_ONCE = 3 << 19  # bytes of vectors that are summed in one go: what a core's cache holds
+IDS_AT_ONCE = 1 << 11
 HUB_ARCS = 1 << 22  # most arcs of one node in a task
 
 
@@ -28,24 +29,39 @@ def vectors(rows: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype="i4") * rows.shape[1]), pa.array(rows.reshape(-1)))
 
 
+def arcs_at_once(width: int) -> int:
+    return max(64, ROWS_AT_ONCE // (4 * width))
+
+
 def summed_by(batches: Iterable[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """Sums of the rows of each id, with the id's tag, for (ids, tags, rows) that come sorted; the last id waits for the next batch."""
+    """Sums of the rows of each id, with the id's tag, for (ids, tags, rows) that come sorted, ``IDS_AT_ONCE`` or so at a time.
+
+    Rows of one batch are added up as they are; the last id waits for the next batch, in double precision.
+    """
     held: tuple[int, int, np.ndarray] | None = None
+    full: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     for ids, tags, rows in batches:
         if not len(ids):
             continue
         starts = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
-        sums, own, tag = np.add.reduceat(rows, starts, axis=0, dtype="f8"), ids[starts], tags[starts]
+        sums, own, tag = np.add.reduceat(rows, starts, axis=0), ids[starts], tags[starts]
+        last = sums[-1].astype("f8")
         if held is not None:
-            if held[0] == own[0]:
-                sums[0] += held[2]
+            if held[0] != own[0]:
+                full.append((np.array([held[0]]), np.array([held[1]]), held[2][None]))
+            elif len(own) == 1:
+                last += held[2]
             else:
-                yield np.array([held[0]]), np.array([held[1]]), held[2][None]
-        held = (int(own[-1]), int(tag[-1]), sums[-1].copy())
+                sums[0] = held[2] + sums[0]
+        held = (int(own[-1]), int(tag[-1]), last)
         if len(own) > 1:
-            yield own[:-1], tag[:-1], sums[:-1]
+            full.append((own[:-1], tag[:-1], sums[:-1]))
+        if sum(len(x[0]) for x in full) >= IDS_AT_ONCE:
+            yield tuple(np.concatenate(x) for x in zip(*full, strict=True))
+            full = []
     if held is not None:
-        yield np.array([held[0]]), np.array([held[1]]), held[2][None]
+        full.append((np.array([held[0]]), np.array([held[1]]), held[2][None]))
+        yield tuple(np.concatenate(x) for x in zip(*full, strict=True))
 
 
 def hub_salt(g) -> int:
@@ -67,10 +83,11 @@ def reduce_arcs(arcs: DataFrame, columns: list[str], width: int, rows: Callable[
 
     def run(batches: Iterable[pa.RecordBatch]):
         def parts():
+            step = arcs_at_once(width)
             for batch in batches:
                 at = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
-                for k in range(0, batch.num_rows, ARCS_AT_ONCE):
-                    part = [c[k : k + ARCS_AT_ONCE] for c in at]
+                for k in range(0, batch.num_rows, step):
+                    part = [c[k : k + step] for c in at]
                     yield part[0], part[0], rows(*part[1:])
 
         for ids, _, sums in summed_by(parts()):

@@ -145,7 +145,7 @@ def finish_sets(nodes: DataFrame, edges: DataFrame, total: int, eps: int, null_s
 
 
 def hierarchical(
-    g: Graph, z: DataFrame, eps: int = 5, null_scope: str = "graph", max_depth: int | None = None, local_below: int = LOCAL_NODES, max_iter: int = 100, n_init: int = 2, init: str = "far", seed: int = 0, isolates: str = "bucket", **how
+    g: Graph, z: DataFrame, eps: int = 5, null_scope: str = "graph", max_depth: int | None = None, local_below: int = LOCAL_NODES, max_iter: int = 100, n_init: int = 1, init: str = "axis", seed: int = 0, isolates: str = "bucket", **how
 ) -> tuple[DataFrame, DataFrame]:
     """Blocks (id, block) and tree of ``z`` (id, v). A block's name is its least id.
 
@@ -163,6 +163,8 @@ def hierarchical(
     edges = g.arcs.where("src < dst").select("src", "dst", F.lit("").alias("path"))
     leaves: list[DataFrame] = []
     trees: list[DataFrame] = []
+    if g.n > local_below:
+        nodes = written(nodes)
     sizes = {"": (nodes.count(), g.m)} if g.m else {}
     while sizes:
         small = {p for p, (n, m) in sizes.items() if n <= local_below and m <= LOCAL_EDGES}

@@ -156,7 +156,7 @@ def update_tree(state: State, after: Graph, embedding: DataFrame) -> tuple[DataF
     own = settle(nodes)
     one, two = (own.select(F.col("id").alias(e), F.col("path").alias(p)) for e, p in (("src", "p"), ("dst", "q")))
     edges = after.arcs.where("src < dst").select("src", "dst").join(one, "src").join(two, "dst").where("p = q").select("src", "dst", F.col("p").alias("path"))
-    how = {"max_iter": 20, "n_init": 3, "init": "far", "seed": state.seed}
+    how = {"seed": state.seed}
     fresh = settle(selection.finish_sets(own, edges, total, state.eps, "graph", 64, how))
     alone = after.nodes.where("deg = 0").select("id", F.lit("isolated").alias("path"))
     blocks = settle(selection.label(fresh.where("id is not null").select("id", "path").unionByName(alone)))
