@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.rng import hash01, mixed
+from ..plans.state import settle, written
 
 THETA_LOW, THETA_HIGH, THETA_POWER = 0.25, 3.0, 2.5
 STRIP_EDGES = 200_000  # expected edges of one strip of a block pair
@@ -72,12 +73,13 @@ def benchmark_params(
         k = k or max(1, math.floor(nodes.count() ** 0.35))
         bounds = np.cumsum(block_shares(k, heterogeneity, seed))[:-1].tolist()
         cuts = F.array(*[F.lit(float(b)) for b in bounds]) if bounds else F.array().cast("array<double>")
-        draw = hash01(seed, F.col("id"), 3)
-        placed = nodes.select(F.col("id").cast("long").alias("id")).withColumn("block", F.size(F.filter(cuts, lambda b: b <= draw)).cast("int"))
+        # Written first: the optimizer would move the hash into the comparison with each cut.
+        drawn = written(nodes.select(F.col("id").cast("long").alias("id")).withColumn("draw", hash01(seed, F.col("id"), 3)))
+        placed = drawn.select("id", F.size(F.filter(cuts, lambda b: b <= F.col("draw"))).cast("int").alias("block"))
     else:
         placed = nodes.select(F.col("id").cast("long").alias("id"), F.col(block).cast("int").alias("block"))
     theta = theta_column(seed, F.col("id")) if degree_corrected else F.lit(1.0)
-    placed = placed.withColumn("theta", theta)
+    placed = written(placed.withColumn("theta", theta))
     sums = sorted((r["block"], r["n"], r["t"], r["q"]) for r in placed.groupBy("block").agg(F.count(F.lit(1)).alias("n"), F.sum("theta").alias("t"), F.sum(F.col("theta") * F.col("theta")).alias("q")).collect())
     return Params(placed, solve_rates(sums, ratio, mean_degree, simple, degree_corrected, even))
 
@@ -306,8 +308,6 @@ def split(params: Params, seed: int = 0, chunk: int = 10_000) -> DataFrame:
 def rewired(params: Params, seed: int = 0, sweeps: int = 5) -> DataFrame:
     """(src, dst): an approximate sampler for comparison. It starts from a graph with the model's degrees but no blocks and
     swaps the ends of disjoint pairs of edges, accepting by the ratio of rates; few sweeps leave it biased."""
-    from ..plans.state import settle
-
     flat = Params(params.nodes.withColumn("block", F.lit(0)), [(0, 0, sum(r["mass"] for r in rates_df(params).collect()) / max(1e-12, flat_mass(params)))])
     edges = settle(skip(flat, seed).select("src", "dst"))
     blocks = params.nodes.select("id", "block")
