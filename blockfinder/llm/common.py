@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
@@ -12,6 +10,9 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..plans.state import shared_folder, written
+
+__all__ = ["shared_folder", "written"]
 
 SLICE_BYTES = 16 << 20
 LOWER = np.array([c + 32 if 0x41 <= c <= 0x5A else c for c in range(256)], np.uint8)
@@ -29,26 +30,12 @@ def making_room(df: DataFrame, added: list[str]) -> DataFrame:
 def durable(df: DataFrame) -> DataFrame:
     """Cut the lineage of ``df`` with a reliable checkpoint in the folder that the cluster shares.
 
-    The folder is the session's ``spark.checkpoint.dir``; only where that is unset (tests) a local one is made.
+    The folder is the session's ``spark.checkpoint.dir``; only where that is unset and Spark is local, one is made.
     """
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
-def shared_folder(spark: SparkSession) -> str:
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    return context.getCheckpointDir()
-
-
-def written(df: DataFrame) -> DataFrame:
-    """As ``durable``, but as a compressed table in that folder, which takes a fraction of a checkpoint's disk."""
-    path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def arrow_map(df: DataFrame, rows: Callable[[Iterator[pa.RecordBatch]], Iterable[pa.RecordBatch]], schema: str, slice_bytes: int = SLICE_BYTES) -> DataFrame:
     """mapInArrow that skips empty batches and hands on large ones in slices of about slice_bytes."""
 

@@ -1,38 +1,7 @@
-"""Connected components of an edge table, by contraction."""
+"""Connected components of links between fingerprints, as of any other edges."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+from ..operators.components import components
 
-from .common import durable
-
-
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, root) of every node of ``edges`` (a, b); nodes of one component, and only they, share their root.
-
-    Each round hangs every node on its least neighbour, follows two such steps, and joins what is left of the edges
-    between the new ends. Nodes with many edges are only ever aggregated or joined, never gathered.
-    """
-    edges = durable(edges.where("a <> b").distinct())
-    found = None
-    for _ in range(most_rounds):
-        if edges.isEmpty():
-            break
-        both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        one = durable(both.groupBy("a").agg(F.min("b").alias("b")).select(F.col("a").alias("node"), F.least("a", "b").alias("up")))
-        jump = one.select(F.col("node").alias("up"), F.col("up").alias("top"))
-        step = durable(one.join(jump, "up").select("node", F.col("top").alias("up")))
-        if found is None:
-            found = step.select("node", F.col("up").alias("root"))
-        else:
-            moved = step.select(F.col("node").alias("root"), "up")
-            found = durable(found.join(moved, "root", "left").select("node", F.coalesce("up", "root").alias("root")))
-        for end in ("a", "b"):
-            edges = edges.join(step.withColumnsRenamed({"node": end, "up": "__up"}), end).drop(end).withColumnRenamed("__up", end)
-        edges = durable(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a <> b").distinct())
-    else:
-        raise RuntimeError("components did not settle")
-    if found is None:
-        return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
-    return found
+__all__ = ["components"]

@@ -1,8 +1,10 @@
 """Language-model scores by class n-grams: exchange clustering, class transitions and word emissions.
 
-The counts of all words and of all neighbouring units cover the whole training part. Units are the most frequent
-words, one for each ending of all other words, and one for the end of a text; exchange clustering moves units between
-classes while the likelihood of the training part grows. A word's probability after the class of the word before it is
+The counts of all words and of all neighbours cover the whole training part. Exchange clustering moves units between
+classes while the likelihood of the training part grows: the most frequent words, one unit for each ending of all other
+words, and one for the end of a text. Then each word of the head, up to ``HEAD`` of them, is moved by itself, by counts of
+the classes next to it that Spark adds up; only words beyond the head, which are rare, stay with their ending's class.
+A word's probability after the class of the word before it is
 
     (count + 1/2) * (MIX * P(class | class before) / D(class) + (1 - MIX) / D)
 
@@ -30,6 +32,7 @@ END = UNITS - 1
 ENDINGS = END - OWN_UNITS
 CLASSES = 64
 SWEEPS = 12
+HEAD_SWEEPS = 1
 MIX = 0.95
 PRIOR = 20.0
 
@@ -55,11 +58,12 @@ def word_counts(df: DataFrame, text: str, train: Column) -> DataFrame:
 
 
 def head_words(counts: DataFrame, most: int = HEAD) -> tuple[list[str], np.ndarray]:
-    """The most frequent words, at most ``most``, with their training counts, by descending frequency."""
-    chosen = frequent(counts, "word", "n", most, HEAD_BYTES)
+    """The most frequent training words, at most ``most``, with their counts, by descending frequency."""
+    known = counts.where("n_train > 0").select("word", "n_train")
+    chosen = frequent(known, "word", "n_train", most, HEAD_BYTES)
     if chosen is None:
         return [], np.zeros(0, "i8")
-    table = counts.where(chosen).toArrow().sort_by([("n", "descending"), ("word", "ascending")])
+    table = known.where(chosen).toArrow().sort_by([("n_train", "descending"), ("word", "ascending")])
     return table["word"].to_pylist(), table["n_train"].to_numpy()
 
 
@@ -81,10 +85,10 @@ def units_of(words: pa.Array, head: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.where((place >= 0) & (place < OWN_UNITS), place, OWN_UNITS + endings(words)), place
 
 
-def with_ends(counts: np.ndarray, units: np.ndarray) -> np.ndarray:
-    """The units of all texts in a row, each text followed by the end."""
+def with_ends(counts: np.ndarray, units: np.ndarray, end: int = END) -> np.ndarray:
+    """The units (or classes) of all texts in a row, each text followed by the end."""
     ends = np.cumsum(counts + 1) - 1
-    out = np.full(len(units) + len(counts), END, "i8")
+    out = np.full(len(units) + len(counts), end, "i8")
     inside = np.ones(len(out), bool)
     inside[ends] = False
     out[inside] = units
@@ -111,19 +115,80 @@ def unit_pairs(df: DataFrame, text: str, head: pa.Array) -> np.ndarray:
     return out.reshape(UNITS, UNITS)
 
 
-def unit_words(counts: DataFrame, head: pa.Array) -> np.ndarray:
-    """Distinct training words of each unit."""
+def classes_of(words: pa.Array, head: pa.Array, of_head: np.ndarray, of_unit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each word's class, and its place in ``head`` or -1: words of the head have their own, all others their ending's."""
+    place = pc.fill_null(pc.index_in(words.cast(pa.large_string()), value_set=head), -1).to_numpy()
+    tied = of_unit[OWN_UNITS + endings(words)]
+    return (np.where(place >= 0, of_head[np.maximum(place, 0)], tied) if len(of_head) else tied), place
 
-    def rows(batches: Iterable[pa.RecordBatch]):
-        total = np.zeros(UNITS, "i8")
+
+def neighbour_classes(df: DataFrame, text: str, head: pa.Array, of_head: np.ndarray, of_unit: np.ndarray, smooth: np.ndarray, size: np.ndarray) -> DataFrame:
+    """(place, class): the class where the occurrences of each word of the head beyond the core are likeliest, all else as it is.
+
+    Counts of the classes before and behind each word are added up over all texts, as cells that occur.
+    """
+
+    def cells(batches: Iterable[pa.RecordBatch]):
         for batch in batches:
-            total += np.bincount(units_of(batch.column(0), head)[0], minlength=UNITS)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(UNITS)), pa.array(total)], ["unit", "n"])
+            counts, words = ascii_words(batch.column(0), lower=True)
+            own, place = classes_of(words, head, of_head, of_unit)
+            now = with_ends(counts, own, CLASSES - 1)
+            word = with_ends(counts, place, -1)
+            at = np.flatnonzero(word >= OWN_UNITS)
+            if len(at):
+                word = word[at]
+                before, behind = np.r_[CLASSES - 1, now[:-1]][at], now[np.minimum(at + 1, len(now) - 1)]
+                cell, n = np.unique(np.r_[word * 2 * CLASSES + before, word * 2 * CLASSES + CLASSES + behind], return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(n.astype("i8"))], ["cell", "n"])
+
+    word = F.floor(F.col("cell") / (2 * CLASSES)).cast("int").alias("place")
+    counted = arrow_map(df.select(text), cells, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n"))
+    rows = counted.groupBy(word).agg(F.collect_list(F.struct((F.col("cell") % (2 * CLASSES)).cast("int").alias("slot"), "n")).alias("x")).select("place", F.col("x.slot").alias("slot"), F.col("x.n").alias("n"))
+
+    def choose(batches: Iterable[pa.RecordBatch]):
+        steps = np.log(smooth)
+        for batch in batches:
+            held = np.zeros((batch.num_rows, 2 * CLASSES))
+            row = np.repeat(np.arange(batch.num_rows), pc.list_value_length(batch.column(1)).to_numpy())
+            held[row, batch.column(1).flatten().to_numpy()] = batch.column(2).flatten().to_numpy()
+            left, right = held[:, :CLASSES], held[:, CLASSES:]
+            gain = left @ steps + right @ steps.T - left.sum(axis=1)[:, None] * np.log(np.maximum(size, 1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(gain[:, : CLASSES - 1].argmax(axis=1).astype("i4"))], ["place", "class"])
 
-    out = np.zeros(UNITS, "i8")
-    for r in arrow_map(counts.where("n_train > 0").select("word"), rows, "unit long, n long").groupBy("unit").agg(F.sum("n").alias("n")).collect():
-        out[r["unit"]] = r["n"]
-    return out
+    return arrow_map(rows, choose, "place int, class int")
+
+
+def class_counts(df: DataFrame, counts: DataFrame, text: str, head: pa.Array, of_head: np.ndarray, of_unit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """How often each class follows each over all texts, and the distinct training words of each class."""
+
+    def pairs(batches: Iterable[pa.RecordBatch]):
+        total = np.zeros(CLASSES * CLASSES, "i8")
+        for batch in batches:
+            n, words = ascii_words(batch.column(0), lower=True)
+            now = with_ends(n, classes_of(words, head, of_head, of_unit)[0], CLASSES - 1)
+            total += np.bincount(np.r_[CLASSES - 1, now[:-1]] * CLASSES + now, minlength=len(total))
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total)], ["cell", "n"])
+
+    def kinds(batches: Iterable[pa.RecordBatch]):
+        total = np.zeros(CLASSES, "i8")
+        for batch in batches:
+            total += np.bincount(classes_of(batch.column(0), head, of_head, of_unit)[0], minlength=CLASSES)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(CLASSES)), pa.array(total)], ["cell", "n"])
+
+    out = []
+    for found, cells in ((arrow_map(df.select(text), pairs, "cell long, n long"), CLASSES * CLASSES), (arrow_map(counts.where("n_train > 0").select("word"), kinds, "cell long, n long"), CLASSES)):
+        table = np.zeros(cells, "i8")
+        for r in found.groupBy("cell").agg(F.sum("n").alias("n")).collect():
+            table[r["cell"]] = r["n"]
+        out.append(table)
+    return out[0].reshape(CLASSES, CLASSES), out[1]
+
+
+def transitions(grid: np.ndarray) -> np.ndarray:
+    """Smoothed probabilities of each class after each."""
+    size, total = grid.sum(axis=0), grid.sum()
+    share = size / total if total else np.full(CLASSES, 1 / CLASSES)
+    return (grid + PRIOR * share + 1e-9) / (grid.sum(axis=1, keepdims=True) + PRIOR + 1e-9 * CLASSES)
 
 
 def x_log_x(x: np.ndarray) -> np.ndarray:
@@ -186,7 +251,8 @@ def exchange(pairs: np.ndarray, classes: int = CLASSES, sweeps: int = SWEEPS) ->
 class Model:
     head: pa.Array
     head_counts: np.ndarray
-    of_unit: np.ndarray  # class of each unit
+    of_head: np.ndarray  # class of each word of the head
+    of_unit: np.ndarray  # class of each unit; other words have that of their ending
     factor: np.ndarray  # log10 of what (count + 1/2) is multiplied by, for each class before and class
     total: int  # training tokens
     distinct: int  # distinct training tokens
@@ -197,22 +263,26 @@ class Model:
         return self.total + 0.5 * (self.distinct + 1)
 
 
-def learn(df: DataFrame, counts: DataFrame, text: str, train: Column) -> Model:
-    """From all training texts; the driver sees the head's words and tables of units only."""
+def learn(df: DataFrame, counts: DataFrame, text: str, train: Column, sweeps: int = HEAD_SWEEPS) -> Model:
+    """From all training texts; the driver sees the head's words and tables of units and classes only.
+
+    Exchange clustering places the core and the endings first. Then each further word of the head goes where it is
+    likeliest, all at once against the counts that stand, ``sweeps`` times.
+    """
+    own = df.where(train)
     words, head_counts = head_words(counts)
     head = pa.array(words, pa.large_string())
-    pairs = unit_pairs(df.where(train), text, head)
-    kinds = unit_words(counts, head)
-    kinds[END] = int(pairs[:, END].sum() > 0)
-    of = exchange(pairs)
-    member = np.zeros((UNITS, CLASSES))
-    member[np.arange(UNITS), of] = 1
-    grid = member.T @ pairs @ member
-    size, known, total = grid.sum(axis=0), kinds @ member, int(pairs.sum())
-    share = size / total if total else np.full(CLASSES, 1 / CLASSES)
-    step = (grid + PRIOR * share) / (grid.sum(axis=1, keepdims=True) + PRIOR)
-    model = Model(head, head_counts, of, np.zeros((CLASSES, CLASSES)), total, int(kinds.sum()), int(pairs[:, END].sum()))
-    model.factor = np.log10(MIX * step / (size + 0.5 * (known + 1)) + (1 - MIX) / model.mass)
+    of = exchange(unit_pairs(own, text, head))
+    of_head = of[units_of(head, head)[0]] if len(words) else np.zeros(0, "i8")
+    grid, kinds = class_counts(own, counts, text, head, of_head, of)
+    for _ in range(sweeps if len(words) > OWN_UNITS else 0):
+        moved = neighbour_classes(own, text, head, of_head, of, transitions(grid), grid.sum(axis=0)).toArrow()
+        of_head[moved["place"].to_numpy()] = moved["class"].to_numpy()
+        grid, kinds = class_counts(own, counts, text, head, of_head, of)
+    size, total, ends = grid.sum(axis=0), int(grid.sum()), int(grid[:, CLASSES - 1].sum())
+    kinds[CLASSES - 1] = int(ends > 0)
+    model = Model(head, head_counts, of_head, of, np.zeros((CLASSES, CLASSES)), total, int(kinds.sum()), ends)
+    model.factor = np.log10(MIX * transitions(grid) / (size + 0.5 * (kinds + 1)) + (1 - MIX) / model.mass)
     return model
 
 
@@ -222,7 +292,7 @@ def score(df: DataFrame, counts: DataFrame, model: Model, key: str = "doc_id", t
     Words of the head are scored in place; for all others, each row sends its distinct ones to their counts and sums up
     what comes back. Rows that agree in key and text are scored as one and then repeated.
     """
-    head, of_unit, factor, end_class = model.head, model.of_unit, model.factor, CLASSES - 1
+    head, of_head, of_unit, factor, end_class = model.head, model.of_head, model.of_unit, model.factor, CLASSES - 1
     logs, known = np.log10(model.head_counts + 0.5), model.head_counts > 0
     end_log, end_known = float(np.log10(model.ends + 0.5)), int(model.ends > 0)
     kind = df.schema[key].dataType.simpleString()
@@ -231,9 +301,9 @@ def score(df: DataFrame, counts: DataFrame, model: Model, key: str = "doc_id", t
         for batch in batches:
             n = batch.num_rows
             counts, words = ascii_words(batch.column(2), lower=True)
-            units, place = units_of(words, head)
+            classes, place = classes_of(words, head, of_head, of_unit)
             doc = np.repeat(np.arange(n), counts)
-            now = of_unit[with_ends(counts, units)]
+            now = with_ends(counts, classes, end_class)
             steps = factor[np.r_[end_class, now[:-1]], now]
             steps = np.bincount(np.repeat(np.arange(n), counts + 1), steps, n)
             inside = place >= 0

@@ -28,6 +28,7 @@ FAN = 8  # children of a node
 CHUNK = 8192  # most fingerprints of a group that meet in one piece of work
 AT_ONCE = 65_536
 PAIRS_AT_ONCE = 1 << 20
+SALT = 32
 #: Distinct fingerprints up to which so many blocks are enough to keep chance groups small.
 BLOCKS = ((1 << 21, RADIUS + 1), (1 << 29, RADIUS + 2), (1 << 35, RADIUS + 3), (1 << 62, RADIUS + 4))
 
@@ -217,9 +218,12 @@ def near_copies(df: DataFrame, key: str = "doc_id", text: str = "text", words: i
     docs = durable(fingerprints(df.select(F.col(key).alias("__key"), F.col(text).alias("__text")), "__text", "fp", words))
     distinct = durable(docs.groupBy("fp").agg(F.min("__key").alias("__least")))
     roots = components(links(distinct.select("fp"), radius)).withColumnRenamed("node", "fp")
-    rooted = durable(distinct.join(roots, "fp", "left").select("fp", "__least", F.coalesce("root", "fp").alias("root")))
-    least = rooted.groupBy("root").agg(F.min("__least").alias("component_id"))
-    classes = rooted.join(least, "root").select("fp", "component_id")
+    rooted = durable(distinct.join(roots, "fp", "left").select("fp", "__least", "root"))
+    # Only fingerprints with a link meet their component's least key; a component of many is dealt over ``SALT`` parts.
+    linked = rooted.where("root is not null").withColumn("__part", F.pmod(F.xxhash64("fp"), F.lit(SALT)))
+    least = linked.groupBy("root").agg(F.min("__least").alias("component_id")).withColumn("__part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALT - 1).cast("long"))))
+    alone = rooted.where("root is null").select("fp", F.col("__least").alias("component_id"))
+    classes = linked.join(least, ["root", "__part"]).select("fp", "component_id").unionByName(alone)
     return docs.join(classes, "fp").select(F.col("__key").alias(key), "fp", "component_id")
 
 

@@ -137,6 +137,36 @@ def test_scores_against_brute_force(spark, docs, odd, empty):
     assert not run(empty)[1]
 
 
+def test_held_out_texts_do_not_change_the_model(spark, docs, monkeypatch):
+    monkeypatch.setattr(lm, "OWN_UNITS", 40)
+    monkeypatch.setattr(lm, "ENDINGS", lm.END - 40)
+    train = ~lm.held_out()
+    other = docs.withColumn("text", F.when(train, F.col("text")).otherwise(F.repeat(F.lit("zebra quagga okapi "), 300)))
+    models = []
+    for df in (docs, other):
+        counts = lm.word_counts(df, "text", train).persist()
+        models.append(lm.learn(df, counts, "text", train))
+    one, two = models
+    assert one.head.equals(two.head) and len(one.head) > 40
+    assert (one.of_head == two.of_head).all() and (one.of_unit == two.of_unit).all() and (one.factor == two.factor).all()
+
+
+def test_words_of_the_head_go_where_they_are_likeliest(spark, monkeypatch):
+    monkeypatch.setattr(lm, "OWN_UNITS", 4)
+    monkeypatch.setattr(lm, "ENDINGS", lm.END - 4)
+    rng = np.random.default_rng(3)
+    nouns, verbs = [f"n{k}x" for k in range(30)], [f"v{k}x" for k in range(30)]
+    texts = [" ".join(w for _ in range(20) for w in ("the", str(rng.choice(nouns)), "may", str(rng.choice(verbs)))) for _ in range(80)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    counts = lm.word_counts(df, "text", F.lit(True)).persist()
+    plain, moved = (lm.learn(df, counts, "text", F.lit(True), sweeps=k) for k in (0, 2))
+    place = {w: k for k, w in enumerate(moved.head.to_pylist())}
+    kinds = [{int(moved.of_head[place[w]]) for w in words if w in place and place[w] >= 4} for words in (nouns, verbs)]
+    assert not kinds[0] & kinds[1]
+    scores = [sum(r["score"] for r in lm.score(df, counts, m).collect()) for m in (plain, moved)]
+    assert scores[1] >= scores[0]
+
+
 def test_exchange_gains_are_exact():
     rng = np.random.default_rng(0)
     pairs = rng.integers(0, 6, (40, 40))
@@ -241,8 +271,23 @@ def test_index_chunks_and_components(spark, monkeypatch):
     for x in whole:
         found[whole[x]].add(roots.get(x, x))
     assert all(len(s) == 1 for s in found.values()) and len({next(iter(s)) for s in found.values()}) == len(found)
-    path = spark.createDataFrame([(k, k + 1) for k in range(40)] + [(100, 101)], "a long, b long")
-    assert len({r["root"] for r in components.components(path).collect()}) == 2
+
+
+@pytest.mark.parametrize("one_task", [0, 200_000])
+def test_long_chains_of_links(spark, one_task):
+    order = [*range(2500), *np.random.default_rng(0).permutation(np.arange(2500, 5000)).tolist()]
+    path = spark.createDataFrame([*itertools.pairwise(order), (9000, 9001), (7, 7), (None, 3)], "a long, b long")
+    roots = {r["node"]: r["root"] for r in components.components(path, one_task).collect()}
+    assert {roots[k] for k in order} == {0} and roots[9001] == roots[9000] == 9000
+
+
+def test_near_copies_along_a_chain(spark):
+    words = [f"w{k}" for k in range(400)]
+    texts = [" ".join(words[k : k + 300]) for k in range(100)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows = {r["doc_id"]: r for r in simhash.near_copies(df).collect()}
+    whole = brute_components({k: r["fp"] % (1 << 64) for k, r in rows.items()})
+    assert {k: r["component_id"] for k, r in rows.items()} == {k: min(x for x in whole if whole[x] == whole[k]) for k in rows}
 
 
 def test_packing(spark, docs, odd, empty):
