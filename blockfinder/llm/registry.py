@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import counting, language, lm, media, packing, pieces, pii, quality, sharding, simhash
+from . import counting, facts, language, lm, media, packing, pieces, pii, quality, sharding, simhash
 
 QUERIES = {
     "op1_longest_first_shards": sharding.query,
@@ -15,5 +15,6 @@ QUERIES = {
     "op8_iso_media": media.query,
     "op9_edit_aware_counts": counting.query,
     "op10_quality_rules": quality.query,
+    **facts.QUERIES,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = dict(facts.ORACLES)
