@@ -8,7 +8,8 @@ nature: they run in one task and refuse graphs beyond ``ONE_TASK_EDGES`` edges.
 from __future__ import annotations
 
 import heapq
-from collections.abc import Callable
+import math
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -535,9 +536,11 @@ def spectral_modularity(g: Graph, max_iter: int = 300) -> DataFrame:
     return in_one_task(g, lambda n, a, b: spectral_labels(n, a, b, iterations=max_iter))
 
 
-def belief_propagation(g: Graph, objective: str = "modularity", k_grid: tuple[int, ...] = (2, 4, 6, 8, 11, 14, 18), damping: float = 0.3, max_iter: int = 60, seed: int = 0) -> DataFrame:
+def belief_propagation(g: Graph, objective: str = "modularity", k_grid: tuple[int, ...] | None = None, damping: float = 0.3, max_iter: int = 60, seed: int = 0) -> DataFrame:
     """Messages along edges; the number of groups is scanned upward as long as the found modularity grows.
 
+    Without ``k_grid`` it grows by a factor of 1.3 from 2 on, with no largest number, until it is twice what was best.
+
     ``modularity``: one coupling for equal groups. ``sbm``: a table of affinities, learned between the sweeps.
     """
     if objective not in ("modularity", "sbm"):
@@ -546,7 +549,7 @@ def belief_propagation(g: Graph, objective: str = "modularity", k_grid: tuple[in
     def run(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         best, score = np.zeros(n, "i8"), 0.0
         deg = np.bincount(np.r_[a, b], minlength=n).astype("f8")
-        for k in k_grid:
+        for k in k_grid or scan(n):
             labels = messages(n, a, b, deg, k, objective, damping, max_iter, seed)
             vol = np.bincount(labels, deg, k)
             now = (labels[a] == labels[b]).mean() - ((vol / max(1.0, deg.sum())) ** 2).sum() if len(a) else 0.0
@@ -560,6 +563,13 @@ def belief_propagation(g: Graph, objective: str = "modularity", k_grid: tuple[in
     return in_one_task(g, run)
 
 
+def scan(most: int) -> Iterator[int]:
+    k = 2
+    while k <= most:
+        yield k
+        k = math.ceil(1.3 * k)
+
+
 def messages(n: int, a: np.ndarray, b: np.ndarray, deg: np.ndarray, k: int, objective: str, damping: float, max_iter: int, seed: int) -> np.ndarray:
     m = len(a)
     if not m:

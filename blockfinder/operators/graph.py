@@ -60,20 +60,18 @@ def describe_df(g: Graph) -> DataFrame:
     )
 
 
-def shared_pairs(df: DataFrame, node: Column, key: Column, most: int | None = None) -> DataFrame:
-    """(a, b): nodes that share a key. Keys with more than ``most`` nodes are left out (see ``crowded``).
+def shared_pairs(df: DataFrame, node: Column, key: Column) -> DataFrame:
+    """(a, b): all pairs of nodes that share a key. The table is made distinct first: repeated rows would square.
 
-    The table is made distinct first: repeated rows would square.
+    For keys that few nodes share; where one may be in a large part of all rows, use keys as nodes of their own.
     """
     rows = df.select(node.cast("long").alias("node"), key.alias("key")).where("node is not null and key is not null").distinct()
-    if most is not None:
-        rows = rows.join(rows.groupBy("key").count().where(F.col("count").between(2, most)).select("key"), "key", "left_semi")
     left, right = rows.select(F.col("node").alias("a"), "key"), rows.select(F.col("node").alias("b"), "key")
     return left.join(right, "key").where("a < b").select("a", "b")
 
 
 def crowded(df: DataFrame, node: Column, key: Column, most: int) -> DataFrame:
-    """Keys that ``shared_pairs`` leaves out at ``most``: (key, n), to be reported."""
+    """Keys with over ``most`` nodes, to be reported: (key, n)."""
     return df.select(node.alias("node"), key.alias("key")).where("node is not null and key is not null").distinct().groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most)
 
 

@@ -22,4 +22,4 @@ def query(sql: str | None = None, name: str | None = None):
 
 
 def load_all() -> None:
-    from . import graphs, methods, operators, streams  # noqa: F401
+    from . import graphs, methods, operators, streams, workloads  # noqa: F401

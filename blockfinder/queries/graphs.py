@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..functions.rng import gauss_sql, hash01, hash01_sql
 from ..operators import features, generator, gnn, graph, metrics, selection
 from . import query
-from .tables import CUSTOMER_SUPPLIER, LEAST_LINE, MOST_DOCS, PART, SUPPLIER, USER_KEY, coorder_pairs, customer_supplier, document_lines, graph_ctes, part_graph, supplier_graph, table, user_key
+from .tables import CUSTOMER_SUPPLIER, LEAST_LINE, PART, SUPPLIER, USER_KEY, coorder_pairs, customer_supplier, document_lines, graph_ctes, part_graph, shared_lines, supplier_graph, table, user_key
 
 WIDTH = 4
 SEED = 7
@@ -43,17 +43,27 @@ def edges_user_key(spark, sf):
     return graph.canonical(user_key(spark, sf))
 
 
-LINES_SQL = f"lines AS (SELECT DISTINCT doc_id, trim(u.line, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) u WHERE length(trim(u.line, ' ')) >= {LEAST_LINE}), few AS (SELECT line FROM lines GROUP BY line HAVING count(*) BETWEEN 2 AND {MOST_DOCS})"
+LINES_SQL = f"lines AS (SELECT DISTINCT doc_id, trim(u.line, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) u WHERE length(trim(u.line, ' ')) >= {LEAST_LINE}), held AS (SELECT line, count(*) AS n, min(doc_id) AS least FROM lines GROUP BY line HAVING count(*) > 1)"
 
 
-@query(f"WITH {LINES_SQL} SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM lines a JOIN lines b ON a.line = b.line JOIN few ON a.line = few.line WHERE a.doc_id < b.doc_id")
+@query(f"WITH {LINES_SQL} SELECT doc_id, md5(line) AS line_md5 FROM lines JOIN held USING (line)")
 def edges_shared_lines(spark, sf):
-    return graph.canonical(graph.shared_pairs(document_lines(spark, sf), F.col("doc_id"), F.col("line"), MOST_DOCS))
+    """Documents and the lines that they share with others: however crowded a line is, it has one edge for each document."""
+    return shared_lines(spark, sf).select("doc_id", F.md5("line").alias("line_md5"))
 
 
-@query(f"WITH {LINES_SQL} SELECT md5(line) AS line_md5, count(*) AS n FROM lines GROUP BY line HAVING count(*) > {MOST_DOCS}")
+@query(f"WITH {LINES_SQL} SELECT DISTINCT least AS src, doc_id AS dst FROM lines JOIN held USING (line) WHERE doc_id > least")
+def edges_line_stars(spark, sf):
+    """Links between documents that connect whatever shares a line: each line's documents with the least one of them."""
+    rows = document_lines(spark, sf)
+    least = rows.groupBy("line").agg(F.min("doc_id").alias("src"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    return rows.join(least, "line").where("doc_id > src").select("src", F.col("doc_id").alias("dst")).distinct()
+
+
+@query(f"WITH {LINES_SQL} SELECT md5(line) AS line_md5, n FROM held WHERE n > 50")
 def crowded_lines(spark, sf):
-    return graph.crowded(document_lines(spark, sf), F.col("doc_id"), F.col("line"), MOST_DOCS).select(F.md5("key").alias("line_md5"), "n")
+    """A report of the lines of more than 50 documents."""
+    return graph.crowded(document_lines(spark, sf), F.col("doc_id"), F.col("line"), 50).select(F.md5("key").alias("line_md5"), "n")
 
 
 @query("SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS target FROM pages")
@@ -126,10 +136,10 @@ def weights_mod(spark, sf):
     return features.structure(part_graph(spark, sf), "mod").select("src", "dst", F.round("w", 6).alias("w"))
 
 
-@query(f"WITH {graph_ctes(SUPPLIER)} SELECT s.id AS src, d.id AS dst, round((CASE WHEN arcs.src IS NULL THEN 0 ELSE 1 END) - CAST(s.deg AS DOUBLE) * d.deg / (2 * (SELECT m FROM tot)), 6) AS q FROM deg s CROSS JOIN deg d LEFT JOIN arcs ON arcs.src = s.id AND arcs.dst = d.id WHERE s.id <= 20")
+@query(f"WITH {graph_ctes(SUPPLIER)} SELECT s.id AS src, d.id AS dst, round((CASE WHEN arcs.src IS NULL THEN 0 ELSE 1 END) - CAST(s.deg AS DOUBLE) * d.deg / (2 * (SELECT m FROM tot)), 6) AS q FROM deg s CROSS JOIN deg d LEFT JOIN arcs ON arcs.src = s.id AND arcs.dst = d.id")
 def weights_mod_full_rankone(spark, sf):
     g = supplier_graph(spark, sf)
-    one, two = g.nodes.where("id <= 20").select(F.col("id").alias("src"), F.col("deg").alias("ds")), g.nodes.select(F.col("id").alias("dst"), F.col("deg").alias("dd"))
+    one, two = g.nodes.select(F.col("id").alias("src"), F.col("deg").alias("ds")), g.nodes.select(F.col("id").alias("dst"), F.col("deg").alias("dd"))
     every = one.join(F.broadcast(two), F.lit(True))  # 20 rows of the dense matrix
     return every.join(g.arcs.select("src", "dst", F.lit(1).alias("a")), ["src", "dst"], "left").select("src", "dst", F.round(F.coalesce("a", F.lit(0)) - F.col("ds").cast("double") * F.col("dd") / float(2 * g.m), 6).alias("q"))
 

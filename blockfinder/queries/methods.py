@@ -7,14 +7,14 @@ from pyspark.sql import functions as F
 from ..operators import baselines, bisect, features, generator, graph, metrics, selection
 from ..plans.pipeline import partition
 from . import query
-from .tables import coorder_sql, document_lines, part_graph, planted, supplier_graph, table
+from .tables import coorder_sql, line_graph, part_graph, planted, supplier_graph, table
 
 HARD = {"ratio": 2.5, "heterogeneity": 3.0}
-LAYERS = (256, 128, 64)
+LAYERS = (256,) * 6
 
 
 def hard(spark, sf, seed=0):
-    return planted(spark, sf, "customer", "c_custkey", "c_nationkey", seed=seed, **HARD)
+    return planted(spark, sf, "customer", "c_custkey", "c_nationkey", seed=seed, mean_degree=40.0, **HARD)
 
 
 def report(spark, name, truth, blocks, timings=None):
@@ -88,7 +88,7 @@ def partition_scope_induced(spark, sf):
 
 
 @query()
-def partition_nested_regions(spark, sf):
+def partition_tree_levels(spark, sf):
     """The tree of a hard graph: sets and cuts of each level."""
     _, g = hard(spark, sf)
     return partition(g, "mod", LAYERS).tree.groupBy(F.length("path").alias("level")).agg(F.count(F.lit(1)).alias("sets"), F.sum("n").alias("nodes"), F.sum(F.when(F.col("verdict") == "split", F.col("cut")).otherwise(0)).alias("cut"))
@@ -96,9 +96,9 @@ def partition_nested_regions(spark, sf):
 
 @query()
 def partition_documents(spark, sf):
-    """Documents that share lines, with each block's labels."""
-    g = graph.build(graph.shared_pairs(document_lines(spark, sf), F.col("doc_id"), F.col("line"), 50))
-    blocks = partition(g, "cut", (64, 32, 16), eps=1).blocks
+    """Documents and the lines they share, divided: each block's documents and their labels."""
+    docs = table(spark, sf, "documents").select(F.col("doc_id").alias("id"))
+    blocks = partition(line_graph(spark, sf), "cut", (128,) * 4, eps=1).blocks.join(docs, "id", "left_semi")
     labels = table(spark, sf, "labels")
     return blocks.join(labels, blocks["id"] == labels["doc_id"], "left").groupBy("block").agg(F.count(F.lit(1)).alias("documents"), F.round(F.avg("quality"), 6).alias("quality"), F.sum("toxic").alias("toxic"))
 
@@ -111,18 +111,6 @@ def partition_parts_null_control(spark, sf):
     return metrics.modularity_df(g, blocks).select(F.lit(blocks.select("block").distinct().count()).alias("blocks"), F.round("modularity", 6).alias("modularity"))
 
 
-@query()
-def partition_embeddings_given(spark, sf):
-    """Model selection on vectors that are given, over a graph of equal labels' neighbours in id order."""
-    rows = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"), "label")
-    from pyspark.sql import Window
-
-    nearby = rows.withColumn("b", F.lead("id").over(Window.partitionBy("label").orderBy("id"))).where("b is not null").select(F.col("id").alias("a"), "b")
-    g = graph.build(nearby, rows.select("id"))
-    blocks, _ = selection.hierarchical(g, rows.select("id", "v"))
-    return blocks.select("id", "block")
-
-
 @query()
 def kmeans_fixed_k(spark, sf):
     p, g = hard(spark, sf)

@@ -47,10 +47,10 @@ for kind, hint in {"broadcast": "broadcast", "shuffle_hash": "shuffle_hash", "so
     query(COUNTS_SQL, f"op_join_{kind}")(lambda spark, sf, hint=hint: customers_by_nation(spark, sf, hint))
 
 
-@query("SELECT x.c_custkey AS a, y.s_suppkey AS b FROM customer x JOIN supplier y ON x.c_acctbal < y.s_acctbal AND y.s_suppkey <= 5 AND x.c_custkey <= 200")
+@query("SELECT x.c_custkey AS a, y.s_suppkey AS b FROM customer x JOIN supplier y ON x.c_acctbal < y.s_acctbal")
 def op_join_theta(spark, sf):
-    few = table(spark, sf, "supplier").where("s_suppkey <= 5").select(F.col("s_suppkey").alias("b"), "s_acctbal")
-    return table(spark, sf, "customer").where("c_custkey <= 200").join(F.broadcast(few), F.col("c_acctbal") < F.col("s_acctbal")).select(F.col("c_custkey").alias("a"), "b")
+    few = table(spark, sf, "supplier").select(F.col("s_suppkey").alias("b"), "s_acctbal")
+    return table(spark, sf, "customer").join(few, F.col("c_acctbal") < F.col("s_acctbal")).select(F.col("c_custkey").alias("a"), "b")
 
 
 RANGE_SQL = "r AS (SELECT c_custkey AS id, c_nationkey AS b, sum(c_custkey) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - c_custkey AS lo, sum(c_custkey) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS hi FROM customer)"
@@ -156,10 +156,10 @@ def op_pivot(spark, sf):
     return wide.select("r_name", *[F.coalesce(F.col(s), F.lit(0)).alias(s.lower()) for s in SEGMENTS])
 
 
-@query("SELECT src, dst, rank FROM (SELECT a.l_partkey AS src, b.l_partkey AS dst, row_number() OVER (PARTITION BY a.l_partkey ORDER BY count(DISTINCT a.l_orderkey) DESC, b.l_partkey) AS rank FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey <> b.l_partkey WHERE a.l_partkey <= 100 GROUP BY 1, 2) x WHERE rank <= 3")
+@query("SELECT src, dst, rank FROM (SELECT a.l_partkey AS src, b.l_partkey AS dst, row_number() OVER (PARTITION BY a.l_partkey ORDER BY count(DISTINCT a.l_orderkey) DESC, b.l_partkey) AS rank FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey <> b.l_partkey GROUP BY 1, 2) x WHERE rank <= 3")
 def op_window_rank(spark, sf):
     rows = table(spark, sf, "lineitem").select("l_orderkey", "l_partkey").distinct()
-    both = rows.where("l_partkey <= 100").select(F.col("l_partkey").alias("src"), "l_orderkey").join(rows.select(F.col("l_partkey").alias("dst"), "l_orderkey"), "l_orderkey").where("src <> dst").groupBy("src", "dst").count()
+    both = rows.select(F.col("l_partkey").alias("src"), "l_orderkey").join(rows.select(F.col("l_partkey").alias("dst"), "l_orderkey"), "l_orderkey").where("src <> dst").groupBy("src", "dst").count()
     return both.withColumn("rank", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("count"), "dst")).cast("long")).where("rank <= 3").select("src", "dst", "rank")
 
 
@@ -244,13 +244,13 @@ def op_struct_prefixes(spark, sf):
     return prefixes.groupBy(F.col("node.prefix").alias("prefix")).agg(F.count(F.lit(1)).alias("n"))
 
 
-TREE_SQL = "WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM part WHERE p_partkey <= 64 UNION ALL SELECT id, top // 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM up GROUP BY id"
+TREE_SQL = "WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM part UNION ALL SELECT id, top // 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM up GROUP BY id"
 
 
 @query(TREE_SQL)
 def op_recursive(spark, sf):
     table(spark, sf, "part").createOrReplaceTempView("bf_part")
-    return spark.sql("WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM bf_part WHERE p_partkey <= 64 UNION ALL SELECT id, top DIV 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM up GROUP BY id")
+    return spark.sql("WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM bf_part UNION ALL SELECT id, top DIV 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM up GROUP BY id")
 
 
 @query(f"SELECT c_custkey FROM customer WHERE {hash01_sql(3, 'c_custkey')} < 0.1")

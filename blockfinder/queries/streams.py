@@ -37,7 +37,7 @@ def touched_nodes_day(spark, sf):
     return updates.touched(day_batch(spark, sf))
 
 
-@query(f"WITH {graph_ctes(CUSTOMER_SUPPLIER)}, t AS (SELECT src AS id FROM ({DAY}) UNION SELECT dst FROM ({DAY})), near AS (SELECT id FROM t UNION SELECT dst FROM arcs WHERE src IN (SELECT id FROM t)) SELECT src, dst FROM arcs WHERE src IN (SELECT id FROM near) AND dst IN (SELECT id FROM near)")
+@query(f"WITH {graph_ctes(CUSTOMER_SUPPLIER)}, t AS (SELECT src AS id FROM ({DAY}) x UNION SELECT dst FROM ({DAY}) y), near AS (SELECT id FROM t UNION SELECT dst FROM arcs JOIN t ON arcs.src = t.id) SELECT arcs.src, arcs.dst FROM arcs JOIN near a ON arcs.src = a.id JOIN near b ON arcs.dst = b.id")
 def affected_region_day(spark, sf):
     from .tables import customer_supplier
 

@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import generator, graph
 from ..operators.graph import Graph
 
 OFFSET = 1_000_000_000  # keeps the two sides of a bipartite graph apart
-LEAST_LINE, MOST_DOCS = 30, 50
+LEAST_LINE = 30
 
 
 def table(spark: SparkSession, sf: str, name: str) -> DataFrame:
@@ -63,15 +63,28 @@ def document_lines(spark: SparkSession, sf: str) -> DataFrame:
     return lines.where(F.length("line") >= LEAST_LINE).distinct()
 
 
+def shared_lines(spark: SparkSession, sf: str) -> DataFrame:
+    """(doc_id, line) of lines that two or more documents hold."""
+    lines = document_lines(spark, sf)
+    return lines.join(lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("line"), "line").select("doc_id", "line")
+
+
+def line_graph(spark: SparkSession, sf: str) -> Graph:
+    """Documents (all of them) and shared lines as nodes of one graph; no pair of documents is listed."""
+    pairs = shared_lines(spark, sf).select(F.col("doc_id").cast("long").alias("a"), (F.pmod(F.xxhash64("line"), F.lit(1 << 61)) + (1 << 62)).alias("b"))
+    return graph.build(pairs, table(spark, sf, "documents").select(F.col("doc_id").alias("id")))
+
+
 def planted(spark: SparkSession, sf: str, name: str, key: str, block: str | None = None, ratio: float = 2.5, seed: int = 0, mean_degree: float = 36.0, heterogeneity: float = 3.0, method: str = "skip") -> tuple[generator.Params, Graph]:
     """A graph from the block model over a table's ids; a column's values are the blocks, or drawn ones."""
     rows = table(spark, sf, name)
     if block is None:
         nodes = rows.select(F.col(key).cast("long").alias("id")).distinct()
     elif rows.schema[block].dataType.typeName() == "string":
-        names = [r[0] for r in rows.select(block).distinct().orderBy(block).limit(10_000).collect()]
-        place = F.create_map(*[F.lit(x) for k, v in enumerate(names) for x in (v, k)])
-        nodes = rows.select(F.col(key).cast("long").alias("id"), F.element_at(place, F.col(block)).alias("b"))
+        # One row for each block's name, numbered in order; a null is a block like any other.
+        named = rows.select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(block), F.lit("")).alias("name"))
+        codes = named.select("name").distinct().select("name", (F.row_number().over(Window.orderBy("name")) - 1).alias("b"))
+        nodes = named.join(codes, "name").select("id", "b")
     else:
         nodes = rows.select(F.col(key).cast("long").alias("id"), F.col(block).cast("int").alias("b"))
     params = generator.benchmark_params(nodes, ratio=ratio, heterogeneity=heterogeneity, mean_degree=mean_degree, seed=seed, block=None if block is None else "b")

@@ -105,7 +105,8 @@ def refresh_embedding(state: State, after: Graph, added: DataFrame, mode: str =
 
 
 def update_tree(state: State, after: Graph, embedding: DataFrame) -> tuple[DataFrame, DataFrame, int]:
-    """Blocks and tree after an update: nodes are routed by the stored planes, and only sets whose verdict flips are split anew.
+    """Blocks and tree after an update: nodes are routed by the stored planes; only sets whose verdict flips, and leaves on a
+    path that has changed, are split anew.
 
     Gives blocks (id, block, path), the tree, and the number of nodes that changed their leaf. The tree has one row for
     each set, so it fits the driver.
@@ -134,33 +135,39 @@ def update_tree(state: State, after: Graph, embedding: DataFrame) -> tuple[DataF
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(path.tolist(), pa.string())], ["id", "path"])
 
     placed = settle(embedding.where("deg > 0").select("id", "v").mapInArrow(route, "id long, path string"))
-    moved = placed.join(state.blocks.select("id", F.col("path").alias("old")), "id", "left").where("old is null or old <> path").count()
+    moves = placed.join(state.blocks.select("id", F.col("path").alias("old")), "id", "left").where("old is null or old <> path").groupBy("path", "old").agg(F.count(F.lit(1)).alias("n")).collect()
+    moved = sum(r["n"] for r in moves)
+    changed = {r["path"] for r in moves} | {r["old"] for r in moves}
     stats = tree_stats(after, placed, spark)
     total = 2 * after.m
-    flipped = []
+    flipped, kept = [], []
     for path in sorted(tree, key=len):
         if any(path.startswith(f) for f in flipped):
             continue
+        now = stats.get(path)
         if path in split:
             one, two = stats.get(path + "0"), stats.get(path + "1")
-            whole = stats.get(path, {"n": 0, "m": 0})
+            whole = now or {"n": 0, "m": 0}
             cut = whole["m"] - (one["m"] if one else 0) - (two["m"] if two else 0)
             keeps = one and two and selection.stays(one["n"], two["n"], one["vol"], two["vol"], cut, one["m"], two["m"], total, state.eps, "graph")
             if not keeps:
                 flipped.append(path)
-        else:
-            flipped.append(path)  # a leaf is asked again whether it now splits
-    done = spark.createDataFrame([(f,) for f in flipped], "root string")
-    roots = F.broadcast(done)
-    nodes = embedding.join(placed, "id").join(roots, F.col("path").startswith(F.col("root"))).select("id", "deg", "v", F.col("root").alias("path"))
-    own = settle(nodes)
+        elif now is not None:
+            # A leaf on no changed path stays one: more edges elsewhere only make a split of it less likely.
+            same = path not in changed and (now["n"], now["vol"], now["m"]) == (tree[path]["n"], tree[path]["vol"], tree[path]["m_in"])
+            (kept if same else flipped).append(path)
+    if any(stats[f]["n"] > selection.LOCAL_NODES for f in flipped if f in stats):
+        return *selection.hierarchical(after, embedding.select("id", "v"), eps=state.eps, seed=state.seed), moved
+    roots = F.broadcast(spark.createDataFrame([(f,) for f in flipped], "root string"))
+    own = settle(embedding.join(placed, "id").join(roots, F.col("path").startswith(F.col("root"))).select("id", "deg", "v", F.col("root").alias("path")))
     one, two = (own.select(F.col("id").alias(e), F.col("path").alias(p)) for e, p in (("src", "p"), ("dst", "q")))
     edges = after.arcs.where("src < dst").select("src", "dst").join(one, "src").join(two, "dst").where("p = q").select("src", "dst", F.col("p").alias("path"))
-    how = {"seed": state.seed}
-    fresh = settle(selection.finish_sets(own, edges, total, state.eps, "graph", 64, how))
+    fresh = settle(selection.finish_sets(own, edges, total, state.eps, "graph", 64, {"seed": state.seed}))
     alone = after.nodes.where("deg = 0").select("id", F.lit("isolated").alias("path"))
-    blocks = settle(selection.label(fresh.where("id is not null").select("id", "path").unionByName(alone)))
+    still = selection.of_sets(placed, kept) if kept else placed.limit(0)
+    blocks = settle(selection.label(fresh.where("id is not null").select("id", "path").unionByName(still).unionByName(alone)))
     inner = [(p, r["parent"], stats[p]["n"], stats[p]["vol"], stats[p]["m"], stats[p]["m"] - stats[p + "0"]["m"] - stats[p + "1"]["m"], "split", list(r["w"]), r["b"]) for p, r in tree.items() if p in split and not any(p.startswith(f) for f in flipped)]
+    inner += [tuple(tree[p][c] for c in ("path", "parent", "n", "vol", "m_in", "cut", "verdict", "w", "b")) for p in kept]
     return blocks, settle(spark.createDataFrame(inner, selection.TREE).unionByName(fresh.where("id is null").drop("id"))), moved
 
 
