@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -78,7 +80,10 @@ def accuracy(table: DataFrame) -> float:
 
     Beyond ``MATCH_UP_TO`` blocks on either side, blocks are matched greedily by size, which is a lower bound.
     """
-    cells = [(r["r"], r["s"], r["n"]) for r in table.collect()]
+    return matched([(r["r"], r["s"], r["n"]) for r in table.collect()])
+
+
+def matched(cells: list[tuple[int, int, int]]) -> float:
     if not cells:
         return 1.0
     rows, columns = sorted({c[0] for c in cells}), sorted({c[1] for c in cells})
@@ -98,13 +103,33 @@ def accuracy(table: DataFrame) -> float:
 
 
 def scores(truth: DataFrame, pred: DataFrame) -> dict[str, float]:
-    """acc, ari, f1, recall, precision, k_true, k_found, k_error."""
-    table = contingency(truth, pred).persist()
-    row = pairwise_df(table).first()
-    out = {"acc": accuracy(table), "ari": row["ari"], "f1": row["f1"], "recall": row["recall"], "precision": row["precision"]}
-    out |= {"k_true": truth.select("block").distinct().count(), "k_found": pred.select("block").distinct().count()}
-    table.unpersist()
-    return out | {"k_error": out["k_found"] - out["k_true"]}
+    """acc, ari, f1, recall, precision, k_true, k_found, k_error of nodes that both divide, from one pass over them.
+
+    The driver sees the table of blocks against blocks, which ``accuracy`` needs as well; ``pairwise_df`` is the same as a plan.
+    """
+    cells = [(r["r"], r["s"], r["n"]) for r in contingency(truth, pred).collect()]
+    rows, columns = Counter(), Counter()
+    for r, s, n in cells:
+        rows[r] += n
+        columns[s] += n
+
+    def together(counts) -> int:
+        return sum(n * (n - 1) // 2 for n in counts)
+
+    both, of_truth, of_pred, every = together(c[2] for c in cells), together(rows.values()), together(columns.values()), together([sum(rows.values())])
+    none = 1.0 if of_truth + of_pred == 0 else 0.0
+    expected = of_truth * of_pred / every if every else 0.0
+    spread = (of_truth + of_pred) / 2 - expected
+    return {
+        "acc": matched(cells),
+        "ari": (both - expected) / spread if spread else 1.0,
+        "f1": 2 * both / (of_truth + of_pred) if of_truth + of_pred else 1.0,
+        "recall": both / of_truth if of_truth else none,
+        "precision": both / of_pred if of_pred else none,
+        "k_true": len(rows),
+        "k_found": len(columns),
+        "k_error": len(columns) - len(rows),
+    }
 
 
 def block_pairs(g: Graph, blocks: DataFrame) -> DataFrame:
