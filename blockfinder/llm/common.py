@@ -15,6 +15,7 @@ from ..plans.state import shared_folder, written
 __all__ = ["shared_folder", "written"]
 
 SLICE_BYTES = 16 << 20
+HOT = 4096  # a key with over one in so many rows is popular
 LOWER = np.array([c + 32 if 0x41 <= c <= 0x5A else c for c in range(256)], np.uint8)
 
 
@@ -94,6 +95,30 @@ def rank_within(df: DataFrame, group: list[str], order: list[str], out: str, buc
     return joined.select(*[F.col(f"n.{c}") for c in df.columns], (F.col(f"n.{out}") + F.col(f"s.{start}")).cast("long").alias(out))
 
 
+def join_uneven(rows: DataFrame, home: DataFrame, key: str, n: str, total: int) -> DataFrame:
+    """``rows`` joined with ``home``, which has one row a key (null too) and, in its column ``n``, how many of ``total`` rows the key has.
+
+    Keys with over one in ``HOT`` rows, fewer than ``HOT`` of them by that, are broadcast and their rows stay where they
+    are; only the others are shuffled. So no task gets all rows of a popular key. ``home`` should be cheap to read twice.
+    """
+    on = F.col(f"r.{key}").eqNullSafe(F.col(f"h.{key}"))
+    added = [F.col(f"h.{c}") for c in home.columns if c not in (key, n)]
+    hot = home.where(F.col(n) * HOT > total)
+    if hot.isEmpty():
+        return rows.alias("r").join(home.alias("h"), on).select("r.*", *added)
+    often = rows.alias("r").join(F.broadcast(hot).alias("h"), on).select("r.*", *added)
+    others = rows.alias("r").join(F.broadcast(hot.select(key)).alias("h"), on, "left_anti")
+    return often.unionByName(others.alias("r").join(home.where(F.col(n) * HOT <= total).alias("h"), on).select("r.*", *added))
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """``name``, made longer until ``df`` has no such column."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def crc_text(column: Column) -> Column:
     """CRC-32 of a value as text, unsigned; null counts as empty."""
     return F.crc32(F.coalesce(column.cast("string"), F.lit("")))
