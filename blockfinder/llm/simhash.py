@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, as_bytes, documents, durable
+from .common import arrow_map, as_bytes, documents, durable, free_name, join_uneven, written
 from .components import components
 
 WORDS = 4
@@ -51,14 +51,18 @@ def fingerprint(text: bytes, words: int = WORDS) -> bytes:
 
 
 def fingerprints(df: DataFrame, text: str = "text", out: str = "fp", words: int = WORDS) -> DataFrame:
-    """All rows and columns of ``df`` but the text, with its fingerprint as a (signed) long; null counts as empty."""
+    """All rows and columns of ``df`` but the text, with its fingerprint as a (signed) long; null counts as empty.
+
+    A column with the name of the new one gives way to it.
+    """
     at = df.columns.index(text)
-    kept = [c for c in df.columns if c != text]
+    kept = [c for c in df.columns if c not in (text, out)]
+    places = [df.columns.index(c) for c in kept]
 
     def rows(batches: Iterable[pa.RecordBatch]):
         for batch in batches:
             found = b"".join([fingerprint(t, words) for t in as_bytes(batch.column(at)).to_pylist()])
-            columns = [c for k, c in enumerate(batch.columns) if k != at]
+            columns = [batch.column(k) for k in places]
             yield pa.RecordBatch.from_arrays([*columns, pa.array(np.frombuffer(found, ">i8").astype("i8"))], [*kept, out])
 
     return arrow_map(df, rows, ", ".join([*[f"`{c}` {df.schema[c].dataType.simpleString()}" for c in kept], f"`{out}` long"]))
@@ -216,15 +220,15 @@ def near_copies(df: DataFrame, key: str = "doc_id", text: str = "text", words: i
     there is no other. Repeated rows stay; empty input gives no rows.
     """
     docs = durable(fingerprints(df.select(F.col(key).alias("__key"), F.col(text).alias("__text")), "__text", "fp", words))
-    distinct = durable(docs.groupBy("fp").agg(F.min("__key").alias("__least")))
+    distinct = durable(docs.groupBy("fp").agg(F.min("__key").alias("__least"), F.count(F.lit(1)).alias("__rows")))
     roots = components(links(distinct.select("fp"), radius)).withColumnRenamed("node", "fp")
-    rooted = durable(distinct.join(roots, "fp", "left").select("fp", "__least", "root"))
+    rooted = durable(distinct.join(roots, "fp", "left").select("fp", "__least", "__rows", "root"))
     # Only fingerprints with a link meet their component's least key; a component of many is dealt over ``SALT`` parts.
     linked = rooted.where("root is not null").withColumn("__part", F.pmod(F.xxhash64("fp"), F.lit(SALT)))
     least = linked.groupBy("root").agg(F.min("__least").alias("component_id")).withColumn("__part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALT - 1).cast("long"))))
-    alone = rooted.where("root is null").select("fp", F.col("__least").alias("component_id"))
-    classes = linked.join(least, ["root", "__part"]).select("fp", "component_id").unionByName(alone)
-    return docs.join(classes, "fp").select(F.col("__key").alias(key), "fp", "component_id")
+    alone = rooted.where("root is null").select("fp", "__rows", F.col("__least").alias("component_id"))
+    classes = linked.join(least, ["root", "__part"]).select("fp", "__rows", "component_id").unionByName(alone)
+    return join_uneven(docs, written(classes), "fp", "__rows", docs.count()).select(F.col("__key").alias(key), "fp", "component_id")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -241,10 +245,11 @@ def one_of_each(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> Da
 
 def least_of_each(docs: DataFrame, found: DataFrame) -> DataFrame:
     """The rows of ``docs`` whose id is the least one of its group in ``found`` (doc_id, component_id)."""
+    n = free_name(docs, "__n")
     found = found.where("doc_id is not null")
-    ids = durable(found.groupBy("doc_id").agg(F.min("component_id").alias("__least"), F.count(F.lit(1)).alias("__n")).where("doc_id = __least").select("doc_id", "__n"))
-    kept = docs.join(ids, "doc_id").select(*docs.columns, "__n")
-    out = kept.where("__n = 1")
-    if not ids.where("__n > 1").isEmpty():
-        out = out.unionByName(kept.where("__n > 1").dropDuplicates(["doc_id"]))
-    return out.drop("__n").unionByName(docs.where("doc_id is null"))
+    ids = durable(found.groupBy("doc_id").agg(F.min("component_id").alias("__least"), F.count(F.lit(1)).alias(n)).where("doc_id = __least").select("doc_id", n))
+    kept = docs.join(ids, "doc_id").select(*docs.columns, n)
+    out = kept.where(F.col(n) == 1)
+    if not ids.where(F.col(n) > 1).isEmpty():
+        out = out.unionByName(kept.where(F.col(n) > 1).dropDuplicates(["doc_id"]))
+    return out.drop(n).unionByName(docs.where("doc_id is null"))
