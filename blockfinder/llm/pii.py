@@ -11,6 +11,7 @@ from __future__ import annotations
 import datetime
 import hashlib
 import re
+import warnings
 from collections.abc import Callable
 
 import pyarrow as pa
@@ -21,6 +22,7 @@ from .common import arrow_map, documents, making_room
 
 #: For tests and trials; give a secret key of your own in production.
 TRIAL_KEY = b"trial key, not for production"
+KEY_SETTING = "spark.blockfinder.pseudonymKey"  # of the session: the key that jobs use
 ROUNDS = 10
 DIGITS, LETTERS, HEX = "0123456789", "abcdefghijklmnopqrstuvwxyz", "0123456789abcdef"
 FIRST_DAY, DAYS = datetime.date(1900, 1, 1).toordinal(), datetime.date(2099, 12, 31).toordinal() - datetime.date(1900, 1, 1).toordinal() + 1
@@ -287,10 +289,19 @@ def pseudonymise(df: DataFrame, key: bytes = TRIAL_KEY, text: str = "text", inve
     return arrow_map(df, rows, ", ".join([*fields, f"`{prefix}values` long", f"`{prefix}spans` array<struct<kind:string,start:long,end:long>>"]))
 
 
+def session_key(spark: SparkSession) -> bytes:
+    """The session's ``spark.blockfinder.pseudonymKey``. Where it is unset, the trial key, which anybody can undo, with a warning."""
+    key = spark.conf.get(KEY_SETTING, None)
+    if key:
+        return key.encode()
+    warnings.warn(f"{KEY_SETTING} is not set: pseudonyms are made with a public trial key", stacklevel=2)
+    return TRIAL_KEY
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pseudonymise(documents(spark, sf_dir).select("doc_id", "text"))
+    return pseudonymise(documents(spark, sf_dir).select("doc_id", "text"), session_key(spark))
 
 
-def without_personal_data(docs: DataFrame, key: bytes = TRIAL_KEY) -> DataFrame:
-    """The rows of ``docs``, with its columns and new texts."""
-    return pseudonymise(docs, key, prefix="__p_").select(*docs.columns)
+def without_personal_data(docs: DataFrame, key: bytes | None = None) -> DataFrame:
+    """The rows of ``docs``, with its columns and new texts; the key is the session's unless one is given."""
+    return pseudonymise(docs, key or session_key(docs.sparkSession), prefix="__p_").select(*docs.columns)
