@@ -20,7 +20,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_map, ascii_words, documents, durable, rank_within
+from .common import arrow_map, ascii_words, documents, durable, making_room, rank_within
 
 WINDOW = 2048
 END_ID = 1
@@ -218,7 +218,7 @@ def pack(cut: DataFrame, key: str = "doc_id", window: int = WINDOW) -> DataFrame
     Sequences are filled from offset 0 without gaps. Empty input gives no rows; equal rows get places of their own.
     The histogram that comes to the driver has at most ``window`` rows; the runs of placements are bounded by it.
     """
-    cut = durable(cut)
+    cut = durable(making_room(cut, ["sequence_id", "offset", "__rank"]))
     histogram = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}
     placed = best_fit_decreasing(histogram, window)
     length, rank, per, first, offset = (np.array(c, "i8") for c in (placed.length, placed.rank, placed.per, placed.first, placed.offset))
