@@ -14,7 +14,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from blockfinder.llm import components, counting, language, lm, media, packing, pieces, pii, quality, sharding, simhash
+from blockfinder.llm import common, components, counting, language, lm, media, packing, pieces, pii, quality, sharding, simhash
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, fp string, score string, shard string, word string"
 ODD = [
@@ -55,7 +55,7 @@ def test_longest_first_is_the_heap_schedule():
     for _ in range(200):
         k, sizes = rnd.randint(1, 6), {rnd.randint(1, 40): rnd.randint(0, 60) for _ in range(rnd.randint(0, 12))}
         loads, heap = [0] * k, [(0, i) for i in range(k)]
-        for size, _, n, at in sharding.longest_first(sizes, k):
+        for size, _, n, at in sharding.longest_first(sorted(sizes.items(), reverse=True), k):
             loads[at] += size * n
         for size in sorted(sizes, reverse=True):
             for _ in range(sizes[size]):
@@ -82,6 +82,29 @@ def test_shards(spark, docs, odd, empty):
     assert len(run(odd)) == len(ODD) and not run(empty)
 
 
+def test_schedule_in_parts_is_the_schedule(spark, docs, monkeypatch):
+    size = F.coalesce(F.octet_length("text"), F.lit(0)) + 1
+    many = docs.unionByName(docs.where("doc_id < 3").select(F.explode(F.sequence(F.lit(10_000), F.lit(10_400))).alias("doc_id"), *docs.columns[1:]))
+    found = []
+    for at_once, hot in ((500_000, 4096), (7, 10)):
+        monkeypatch.setattr(sharding, "AT_ONCE", at_once)
+        monkeypatch.setattr(common, "HOT", hot)
+        found.append(sorted(map(tuple, sharding.shard(many, "doc_id", sharding.text_group(F.col("text")), size, 5).collect())))
+    assert found[0] == found[1] and len(found[0]) == many.count()
+
+
+@pytest.mark.parametrize("hot", [1, 3, 10**6])
+def test_uneven_joins(spark, hot, monkeypatch):
+    monkeypatch.setattr(common, "HOT", hot)
+    keys = ["a"] * 40 + [None] * 30 + list("bcdefghij") * 2
+    rows = spark.createDataFrame(list(enumerate(keys)), "id long, k string")
+    home = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("least"))
+    out = common.join_uneven(rows, home, "k", "n", len(keys))
+    assert out.columns == ["id", "k", "least"]
+    assert sorted((r["id"], r["least"]) for r in out.collect()) == [(i, keys.index(k)) for i, k in enumerate(keys)]
+    assert common.join_uneven(rows.limit(0), home.limit(0), "k", "n", 0).count() == 0
+
+
 def test_lattice_against_brute_force(spark, docs, odd, empty):
     vocabulary = pieces.Pieces.load(pieces.default_path())
     best_of = {t: (i, s) for i, (t, s, n) in enumerate(zip(vocabulary.text, vocabulary.score, vocabulary.normal, strict=True)) if n}
@@ -408,6 +431,15 @@ def test_quality(spark, docs, odd, empty):
     assert quality.train(big, labels.limit(0)) is None
 
 
+def test_equal_texts_have_equal_scores():
+    rng = np.random.default_rng(4)
+    weights = rng.normal(size=1 << quality.BITS)
+    text = "some words that stand in several places of a batch, 12 times"
+    texts = [" ".join(map(str, rng.integers(0, 999, int(n)))) if n else text for n in rng.integers(0, 40, 300) * rng.integers(0, 2, 300)] + ["", None]
+    found = quality.scores(quality.Slice.of(pa.array(texts)), weights)
+    assert len({found[k] for k, t in enumerate(texts) if t == text}) == 1 and found[-1] == found[-2] == 0
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
