@@ -12,6 +12,7 @@ from __future__ import annotations
 import itertools
 import re
 import zlib
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -212,13 +213,14 @@ def pieces(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     return arrow_map(narrow, rows, f"`{key}` {narrow.schema[0].dataType.simpleString()}, start long, length long, ids_crc32 long, doc_tokens long" + ", ids array<int>" * keep_ids)
 
 
-def pack(cut: DataFrame, key: str = "doc_id", window: int = WINDOW) -> DataFrame:
+def pack(cut: DataFrame, key: str = "doc_id", window: int = WINDOW, store: Callable[[DataFrame], DataFrame] = durable) -> DataFrame:
     """Give each piece (a row of ``pieces``; other columns stay) its sequence_id and offset.
 
     Sequences are filled from offset 0 without gaps. Empty input gives no rows; equal rows get places of their own.
     The histogram that comes to the driver has at most ``window`` rows; the runs of placements are bounded by it.
+    ``store`` cuts the lineage of the pieces; ``written`` takes less disk where they hold their ids.
     """
-    cut = durable(making_room(cut, ["sequence_id", "offset", "__rank"]))
+    cut = store(making_room(cut, ["sequence_id", "offset", "__rank"]))
     histogram = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}
     placed = best_fit_decreasing(histogram, window)
     length, rank, per, first, offset = (np.array(c, "i8") for c in (placed.length, placed.rank, placed.per, placed.first, placed.offset))

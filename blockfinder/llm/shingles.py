@@ -2,13 +2,15 @@
 
 Two texts are near copies if the sets of their five-word shingles have a Jaccard similarity of at least 4/5. Shingles
 are put into one order, rare ones first; sets that similar share one of the first fifth (and one more) of either. So
-only these are dealt out, and what meets under one is checked by whole sets: first against the least member, then,
-where members are still apart, each with each. The order is from bounded counts, which bear on the speed alone.
+only these are dealt out, and what meets under one is checked by whole sets: first what the Gray index over fingerprints
+joins and each member against the one with the fewest rarer shingles, then, where members are still apart, each with
+each. The order is from bounded counts, which bear on the speed alone.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterable
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -18,12 +20,14 @@ from pyspark.sql import functions as F
 
 from .common import arrow_map, as_bytes, durable, join_uneven, written
 from .components import components
-from .simhash import SEED, least_of_each
+from .simhash import SEED, fingerprints, least_of_each
+from .simhash import links as index_links
 
 WORDS = 5
 PART, WHOLE = 4, 5  # near copies share at least so many parts of the whole
 BUCKETS = 1 << 20  # counts that shingles are ordered by
 CELL = 1 << 12  # buckets in a row of counts
+MARKS = 16  # longs of 64 bits that bound from below in how many shingles two sets differ
 
 
 def shingles(text: bytes, words: int = WORDS) -> np.ndarray:
@@ -127,18 +131,59 @@ def similar(pairs: DataFrame, texts: DataFrame, words: int = WORDS) -> DataFrame
     return durable(arrow_map(met, check, "a long, b long"))
 
 
+def indexed(texts: DataFrame, words: int = WORDS) -> DataFrame:
+    """Pairs (a, b) of nodes of ``texts`` (node, text) that the Gray index over their fingerprints joins, few and unchecked."""
+    prints = written(fingerprints(texts.select("node", "text"), "text", "fp", words))
+    homes = written(prints.groupBy("fp").agg(F.min("node").alias("home"), F.count(F.lit(1)).alias("n")))
+    same = join_uneven(prints, homes, "fp", "n", prints.count()).where("node <> home").select(F.col("home").alias("a"), F.col("node").alias("b"))
+    one, two = homes.select(F.col("fp").alias("a"), F.col("home").alias("x")), homes.select(F.col("fp").alias("b"), F.col("home").alias("y"))
+    return same.unionByName(index_links(homes.select("fp")).join(one, "a").join(two, "b").select(F.col("x").alias("a"), F.col("y").alias("b")))
+
+
+def marks(texts: DataFrame, words: int = WORDS) -> DataFrame:
+    """(node, marks) of ``texts`` (node, text): a bit is 1 if an odd number of shingles fall on it.
+
+    Sets differ in at least as many shingles as their marks do in bits.
+    """
+
+    def rows(batches: Iterable[pa.RecordBatch]):
+        for batch in batches:
+            bits = [np.bincount((shingles(t, words).view(np.uint64) >> np.uint64(32)).astype("i8") % (64 * MARKS), minlength=64 * MARKS) & 1 for t in as_bytes(batch.column(1)).to_pylist()]
+            longs = np.packbits(np.array(bits, "u1").reshape(-1, 64 * MARKS), axis=1).view("i8")
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(list(longs), pa.list_(pa.int64()))], ["node", "marks"])
+
+    return arrow_map(texts.select("node", "text"), rows, "node long, marks array<long>")
+
+
+def few_differ(x: str, y: str) -> Column:
+    """Whether sets with these endings can be near copies by their marks: what is not common is in one of them alone."""
+    enough = F.floor((PART * (F.col(f"n{x}") + F.col(f"n{y}")) + PART + WHOLE - 1) / (PART + WHOLE))
+    bits = [F.bit_count(F.col(f"marks{x}")[k].bitwiseXOR(F.col(f"marks{y}")[k])) for k in range(MARKS)]
+    return reduce(Column.__add__, bits) <= F.col(f"n{x}") + F.col(f"n{y}") - 2 * enough
+
+
+def in_order(x: str, y: str) -> list[Column]:
+    return [F.least(x, y).alias("a"), F.greatest(x, y).alias("b")]
+
+
 def near_links(texts: DataFrame, words: int = WORDS) -> DataFrame:
     """Links (a, b) that connect all near copies of ``texts`` (node, text; a node once), directly or over others."""
     by = Window.partitionBy("gram")
     met = firsts(texts, counts(texts, words), words).withColumn("met", F.count(F.lit(1)).over(by)).where("met > 1")
-    met = written(met.withColumn("least", F.min(F.struct("node", "n", "at")).over(by)).drop("met"))
-    star = met.select(F.col("least.node").alias("a"), F.col("least.n").alias("n_x"), F.col("least.at").alias("at_x"), F.col("node").alias("b"), F.col("n").alias("n_y"), F.col("at").alias("at_y"))
-    links = similar(star.where((F.col("a") != F.col("b")) & could_be("_x", "_y")).select("a", "b").distinct(), texts, words)
+    # Sets of about a size meet the one with the fewest rarer shingles, which is likest to all; ranges of sizes overlap.
+    size = F.log("n") / np.log(WHOLE / PART)
+    mid = F.min(F.struct("at", "node", "n"))
+    met = written(met.withColumn("mids", F.array(*[mid.over(Window.partitionBy("gram", F.floor(size + k))) for k in (0, 0.5)])).drop("met"))
+    star = met.select(F.explode("mids").alias("mid"), F.col("node").alias("node_y"), F.col("n").alias("n_y"), F.col("at").alias("at_y"))
+    star = star.select(F.col("mid.node").alias("node_x"), F.col("mid.n").alias("n_x"), F.col("mid.at").alias("at_x"), "node_y", "n_y", "at_y")
+    star = star.where((F.col("node_x") != F.col("node_y")) & could_be("_x", "_y")).select(*in_order("node_x", "node_y"))
+    links = similar(star.unionByName(indexed(texts, words).select(*in_order("a", "b"))).distinct(), texts, words)
     roots = components(links).withColumnRenamed("root", "__root")
-    apart = met.drop("least").join(roots, "node", "left").withColumn("root", F.coalesce("__root", "node")).drop("__root")
+    apart = met.drop("mids").join(roots, "node", "left").withColumn("root", F.coalesce("__root", "node")).drop("__root")
     apart = written(apart.withColumn("low", F.min("root").over(by)).withColumn("high", F.max("root").over(by)).where("low < high").drop("low", "high"))
-    x, y = (apart.select("gram", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "at", "root")]) for s in "xy")
-    rest = x.join(y, "gram").where((F.col("node_x") < F.col("node_y")) & (F.col("root_x") != F.col("root_y")) & could_be("_x", "_y"))
+    marked = apart.join(marks(texts.join(apart.select("node").distinct(), "node", "left_semi"), words), "node")
+    x, y = (marked.select("gram", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "at", "root", "marks")]) for s in "xy")
+    rest = x.join(y, "gram").where((F.col("node_x") < F.col("node_y")) & (F.col("root_x") != F.col("root_y")) & could_be("_x", "_y") & few_differ("_x", "_y"))
     return links.unionByName(similar(rest.select(F.col("node_x").alias("a"), F.col("node_y").alias("b")).distinct(), texts, words))
 
 

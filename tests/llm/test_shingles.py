@@ -60,3 +60,40 @@ def test_rows_without_or_with_repeated_ids(spark):
     kept = shingles.one_of_each(docs)
     assert kept.columns == docs.columns and sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 1, 4]
     assert shingles.near_copies(docs.limit(0)).count() == 0
+
+
+def grown_group(n: int) -> list[tuple[int, str]]:
+    """Edits of one text, many of them too far from each other to be near copies."""
+    rnd = random.Random(n)
+    base, out = [f"w{i}" for i in range(200)], []
+    for k in range(n):
+        words = list(base)
+        for _ in range(rnd.randrange(1, 9)):
+            words[rnd.randrange(len(words))] = f"x{rnd.randrange(10**9)}"
+        out.append((k, " ".join(words)))
+    return out
+
+
+def test_pairs_under_one_shingle_do_not_grow_with_the_square_of_the_group(spark, monkeypatch):
+    pairs = []
+    plain = shingles.similar
+    monkeypatch.setattr(shingles, "similar", lambda p, *rest: (pairs.append(p.count()), plain(p, *rest))[1])
+    rows = grown_group(400)
+    found = shingles.near_copies(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {r["doc_id"]: r["component_id"] for r in found.collect()} == brute(dict(rows))
+    assert pairs[-1] <= 10 * len(rows)
+
+
+def test_near_copies_meet_over_the_gray_index(spark):
+    rows = [(1, " ".join(f"w{i}" for i in range(400))), (2, " ".join(f"w{i}" for i in range(400)) + " last"), (3, "another text that is short")]
+    texts = spark.createDataFrame(rows, "node long, text string")
+    assert {tuple(r) for r in shingles.indexed(texts).select(*shingles.in_order("a", "b")).collect()} == {(1, 2)}
+
+
+def test_marks_never_differ_in_more_bits_than_the_sets_in_shingles(spark):
+    texts = grown_group(12) + [(12, ""), (13, "a b")]
+    found = {r["node"]: r["marks"] for r in shingles.marks(spark.createDataFrame(texts, "node long, text string")).collect()}
+    sets = {k: set(shingles.shingles(t.encode()).tolist()) for k, t in texts}
+    for a in sets:
+        for b in sets:
+            assert sum(((x ^ y) & (2**64 - 1)).bit_count() for x, y in zip(found[a], found[b], strict=True)) <= len(sets[a] ^ sets[b])
