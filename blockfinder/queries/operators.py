@@ -250,7 +250,7 @@ TREE_SQL = "WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM part
 @query(TREE_SQL)
 def op_recursive(spark, sf):
     table(spark, sf, "part").createOrReplaceTempView("bf_part")
-    return spark.sql("WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM bf_part UNION ALL SELECT id, top DIV 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM up GROUP BY id")
+    return spark.sql("WITH RECURSIVE up(id, top) AS (SELECT p_partkey, p_partkey FROM bf_part UNION ALL SELECT id, top DIV 2 FROM up WHERE top > 1) SELECT id, count(*) AS steps, min(top) AS top FROM (SELECT * FROM up LIMIT ALL) GROUP BY id")
 
 
 @query(f"SELECT c_custkey FROM customer WHERE {hash01_sql(3, 'c_custkey')} < 0.1")
