@@ -35,6 +35,7 @@ SWEEPS = 12
 HEAD_SWEEPS = 1
 MIX = 0.95
 PRIOR = 20.0
+SLICE = 4 << 20  # bytes of text that a worker takes at once; arrays of its words take many times that
 
 
 def held_out(key: str = "doc_id") -> Column:
@@ -53,7 +54,7 @@ def word_counts(df: DataFrame, text: str, train: Column) -> DataFrame:
             if size:
                 yield pa.RecordBatch.from_arrays([coded.dictionary.cast(pa.string()), pa.array(np.bincount(codes, minlength=size)), pa.array(np.bincount(codes[own], minlength=size))], ["word", "n", "n_train"])
 
-    partial = arrow_map(df.select(F.col(text).alias("text"), train.alias("train")), rows, "word string, n long, n_train long")
+    partial = arrow_map(df.select(F.col(text).alias("text"), train.alias("train")), rows, "word string, n long, n_train long", SLICE)
     return partial.groupBy("word").agg(F.sum("n").alias("n"), F.sum("n_train").alias("n_train"))
 
 
@@ -109,7 +110,7 @@ def unit_pairs(df: DataFrame, text: str, head: pa.Array) -> np.ndarray:
             part = cells[at : at + 65_536]
             yield pa.RecordBatch.from_arrays([pa.array(part.astype("i4")), pa.array(total[part])], ["cell", "n"])
 
-    cells = arrow_map(df.select(text), rows, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    cells = arrow_map(df.select(text), rows, "cell int, n long", SLICE).groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     out = np.zeros(UNITS * UNITS, "i8")
     out[cells["cell"].to_numpy()] = cells["n"].to_numpy()
     return out.reshape(UNITS, UNITS)
@@ -142,7 +143,7 @@ def neighbour_classes(df: DataFrame, text: str, head: pa.Array, of_head: np.ndar
                 yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(n.astype("i8"))], ["cell", "n"])
 
     word = F.floor(F.col("cell") / (2 * CLASSES)).cast("int").alias("place")
-    counted = arrow_map(df.select(text), cells, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n"))
+    counted = arrow_map(df.select(text), cells, "cell long, n long", SLICE).groupBy("cell").agg(F.sum("n").alias("n"))
     rows = counted.groupBy(word).agg(F.collect_list(F.struct((F.col("cell") % (2 * CLASSES)).cast("int").alias("slot"), "n")).alias("x")).select("place", F.col("x.slot").alias("slot"), F.col("x.n").alias("n"))
 
     def choose(batches: Iterable[pa.RecordBatch]):
@@ -176,7 +177,7 @@ def class_counts(df: DataFrame, counts: DataFrame, text: str, head: pa.Array, of
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(CLASSES)), pa.array(total)], ["cell", "n"])
 
     out = []
-    for found, cells in ((arrow_map(df.select(text), pairs, "cell long, n long"), CLASSES * CLASSES), (arrow_map(counts.where("n_train > 0").select("word"), kinds, "cell long, n long"), CLASSES)):
+    for found, cells in ((arrow_map(df.select(text), pairs, "cell long, n long", SLICE), CLASSES * CLASSES), (arrow_map(counts.where("n_train > 0").select("word"), kinds, "cell long, n long"), CLASSES)):
         table = np.zeros(cells, "i8")
         for r in found.groupBy("cell").agg(F.sum("n").alias("n")).collect():
             table[r["cell"]] = r["n"]
@@ -331,7 +332,7 @@ def score(df: DataFrame, counts: DataFrame, model: Model, key: str = "doc_id", t
             )
 
     narrow = df.select(F.col(key).alias("key"), F.xxhash64(F.coalesce(F.col(text), F.lit("")), F.length(text)).alias("print"), F.col(text).alias("text"))
-    parts = arrow_map(narrow, rows, f"key {kind}, print long, word string, n long, known long, own double, steps double")
+    parts = arrow_map(narrow, rows, f"key {kind}, print long, word string, n long, known long, own double, steps double", SLICE)
     counted = parts.join(counts.select("word", F.col("n_train").alias("c")), "word", "left")
     whole = F.col("word").startswith(" ")
     c = F.coalesce("c", F.lit(0))
