@@ -6,11 +6,14 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from blockfinder import queries
 from blockfinder.operators import generator, gnn, graph
 from blockfinder.plans import experiments
 from blockfinder.plans.pipeline import partition
 from blockfinder.plans.state import shared_folder, written
 
+queries.load_all()
+
 
 @pytest.fixture(scope="module")
 def ring(spark):
@@ -51,3 +54,19 @@ def test_levels_leave_no_vectors_behind(spark, ring):
     assert {tuple(x) for x in r.blocks.select("id", "block").collect()} == {tuple(x) for x in again.blocks.select("id", "block").collect()}
     wide = [x for x in folders(spark) - before if "v" in spark.read.parquet(f"{shared_folder(spark)}/{x}").columns]
     assert len(wide) == 2 * 2  # features and embedding of both runs
+
+
+def test_dense_matrix_is_not_shuffled(spark, tmp_path):
+    orders = spark.range(400)
+    lines = orders.select(F.col("id").alias("l_orderkey"), (F.col("id") % 300).alias("l_suppkey")).unionByName(orders.select(F.col("id").alias("l_orderkey"), ((F.col("id") * 7 + 1) % 300).alias("l_suppkey")))
+    lines.write.parquet(f"{tmp_path}/lineitem.parquet")
+    out = []
+    cost = experiments.plan_cost(spark, lambda: out.extend(queries.QUERIES["weights_mod_full_rankone"](spark, str(tmp_path)).collect()))
+    assert cost["shuffle_rows"] < 30_000
+    edges = {(min(a, b), max(a, b)) for a, b in ((k % 300, (k * 7 + 1) % 300) for k in range(400)) if a != b}
+    deg = np.bincount([x for e in edges for x in e], minlength=300)
+    ids = np.flatnonzero(deg)
+    assert len(out) == len(ids) ** 2
+    for r in out:
+        linked = (min(r["src"], r["dst"]), max(r["src"], r["dst"])) in edges
+        assert abs(r["q"] - (linked - deg[r["src"]] * deg[r["dst"]] / (2 * len(edges)))) < 1e-6

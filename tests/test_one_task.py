@@ -62,3 +62,15 @@ def test_sweeps_hold_no_table_of_nodes_and_blocks():
     most = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert len(out) == n and most < 40 << 20  # a table would take 64 MB
+
+
+def test_a_graph_of_the_stated_edges_is_merged_in_one_task(spark, monkeypatch):
+    from blockfinder.operators import graph
+
+    a, b = blocks_graph(300, 3, 3000)
+    g = graph.build(spark.createDataFrame([(int(x), int(y)) for x, y in zip(a, b, strict=True)], "a long, b long"))
+    monkeypatch.setattr(baselines, "ONE_TASK_EDGES", g.m)
+    settled, settle = [], baselines.settle
+    monkeypatch.setattr(baselines, "settle", lambda df: (settled.append(df), settle(df))[1])
+    found = baselines.greedy_modularity(g)
+    assert len(settled) == 3 and found.count() == g.n  # nothing but the start
