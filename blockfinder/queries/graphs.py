@@ -139,9 +139,7 @@ def weights_mod(spark, sf):
 @query(f"WITH {graph_ctes(SUPPLIER)} SELECT s.id AS src, d.id AS dst, round((CASE WHEN arcs.src IS NULL THEN 0 ELSE 1 END) - CAST(s.deg AS DOUBLE) * d.deg / (2 * (SELECT m FROM tot)), 6) AS q FROM deg s CROSS JOIN deg d LEFT JOIN arcs ON arcs.src = s.id AND arcs.dst = d.id")
 def weights_mod_full_rankone(spark, sf):
     g = supplier_graph(spark, sf)
-    one, two = g.nodes.select(F.col("id").alias("src"), F.col("deg").alias("ds")), g.nodes.select(F.col("id").alias("dst"), F.col("deg").alias("dd"))
-    every = one.join(F.broadcast(two), F.lit(True))  # 20 rows of the dense matrix
-    return every.join(g.arcs.select("src", "dst", F.lit(1).alias("a")), ["src", "dst"], "left").select("src", "dst", F.round(F.coalesce("a", F.lit(0)) - F.col("ds").cast("double") * F.col("dd") / float(2 * g.m), 6).alias("q"))
+    return features.dense_modularity(g).select("src", "dst", F.round("q", 6).alias("q"))
 
 
 def project_sql(weight: str) -> str:
