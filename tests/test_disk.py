@@ -70,3 +70,9 @@ def test_dense_matrix_is_not_shuffled(spark, tmp_path):
     for r in out:
         linked = (min(r["src"], r["dst"]), max(r["src"], r["dst"])) in edges
         assert abs(r["q"] - (linked - deg[r["src"]] * deg[r["dst"]] / (2 * len(edges)))) < 1e-6
+
+
+def test_ends_are_found_without_the_driver(spark):
+    nodes = spark.range(300).select(F.col("id"), (F.col("id") % 3).cast("int").alias("b"))
+    plan = generator.split(generator.benchmark_params(nodes, mean_degree=10.0, block="b"))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortMergeJoin") >= 2
