@@ -76,3 +76,10 @@ def test_ends_are_found_without_the_driver(spark):
     nodes = spark.range(300).select(F.col("id"), (F.col("id") % 3).cast("int").alias("b"))
     plan = generator.split(generator.benchmark_params(nodes, mean_degree=10.0, block="b"))._jdf.queryExecution().executedPlan().toString()
     assert plan.count("SortMergeJoin") >= 2
+
+
+def test_split_draws_one_node_for_each_end(spark):
+    p = generator.benchmark_params(spark.range(600), mean_degree=10.0, k=3)
+    drawn = generator.split(p, 1).agg(F.sum("weight")).first()[0]
+    mass = generator.rates_df(p).agg(F.sum("mass")).first()[0]
+    assert abs(drawn - mass) < 6 * mass**0.5  # a Poisson total
