@@ -74,3 +74,33 @@ def test_a_graph_of_the_stated_edges_is_merged_in_one_task(spark, monkeypatch):
     monkeypatch.setattr(baselines, "settle", lambda df: (settled.append(df), settle(df))[1])
     found = baselines.greedy_modularity(g)
     assert len(settled) == 3 and found.count() == g.n  # nothing but the start
+
+
+def plain_best(n, a, b):
+    """The best merge at each step, from a dense table."""
+    table, total, labels = np.zeros((n, n)), 2.0 * len(a), np.arange(n)
+    np.add.at(table, (np.r_[a, b], np.r_[b, a]), 1)
+    vol = table.sum(axis=1)
+    while True:
+        gain = table / total - np.outer(vol, vol) / total**2
+        gain[(table == 0) | ~np.triu(np.ones((n, n), bool), 1)] = -1
+        i, j = divmod(int(gain.argmax()), n)
+        if gain[i, j] <= 0:
+            return labels
+        table[i] += table[j]
+        table[:, i] += table[:, j]
+        table[j], table[:, j] = 0, 0
+        vol[i] += vol[j]
+        vol[j] = 0
+        labels[labels == j] = i
+
+
+def test_best_merges_ask_few_rows(monkeypatch):
+    a, b = blocks_graph(150, 5, 900)
+    assert (baselines.merge_best(150, a, b) == plain_best(150, a, b)).all()
+    n = 2000
+    a, b = blocks_graph(n, 8, 40_000)
+    pushed, push = [], baselines.heapq.heappush
+    monkeypatch.setattr(baselines.heapq, "heappush", lambda heap, x: (pushed.append(1), push(heap, x))[1])
+    baselines.merge_best(n, a, b)
+    assert len(pushed) < 4 * n
