@@ -53,6 +53,23 @@ def test_rounds_touch_what_merges(monkeypatch):
     assert len(seen) > 10 and sum(seen) < 8 * len(r)
 
 
+def test_rounds_of_few_merges_leave_the_cells_alone(monkeypatch):
+    for seed in range(8):
+        n = 40 + 15 * seed
+        a, b = blocks_graph(n, 1 + seed % 4, 3 * n, seed)
+        r, s = np.r_[a, b], np.r_[b, a]
+        vol = np.bincount(r, minlength=n).astype("f8")
+        assert (baselines.rounds_in_memory(n, r, s, np.ones(len(r)), vol, float(len(r))) == plain_rounds(n, r, s, vol, float(len(r)))).all()
+    n = 4000
+    a, b = blocks_graph(n, 10, 60_000)
+    r, s = np.r_[a, b], np.r_[b, a]
+    vol = np.bincount(r, minlength=n).astype("f8")
+    seen, divmod_ = [], np.divmod
+    monkeypatch.setattr(np, "divmod", lambda x, y: (seen.append(len(x)), divmod_(x, y))[1])
+    baselines.rounds_in_memory(n, r, s, np.ones(len(r)), vol, float(len(r)))
+    assert sum(seen) < 25 * len(r)
+
+
 def test_sweeps_hold_no_table_of_nodes_and_blocks():
     n, k = 20_000, 400
     a, b = blocks_graph(n, 20, 100_000)
