@@ -121,3 +121,45 @@ def test_best_merges_ask_few_rows(monkeypatch):
     monkeypatch.setattr(baselines.heapq, "heappush", lambda heap, x: (pushed.append(1), push(heap, x))[1])
     baselines.merge_best(n, a, b)
     assert len(pushed) < 4 * n
+
+
+def plain_messages(n, a, b, k, objective, sweeps, seed=0, damping=0.3):
+    """The same sweeps, message by message."""
+    m, deg = len(a), np.bincount(np.r_[a, b], minlength=n).astype("f8")
+    src, dst, excess = np.r_[a, b], np.r_[b, a], max(1.5, (deg**2).mean() / deg.mean() - 1)
+    beta = np.log(k / (np.sqrt(excess) - 1) + 1)
+    table, belief = np.ones((k, k)) + np.eye(k) * (np.exp(beta) - 1), np.full((n, k), 1 / k)
+    psi = baselines.uniform_block(seed + k, np.arange(2 * m), k)
+    psi /= psi.sum(axis=1, keepdims=True)
+    for sweep in range(sweeps):
+        pull, field = np.log(psi @ table), deg @ belief
+        whole = -deg[:, None] * (beta * field if objective == "modularity" else field @ table / table.mean()) / deg.sum()
+        np.add.at(whole, dst, pull)
+        belief = np.exp(whole - whole.max(axis=1, keepdims=True))
+        belief /= belief.sum(axis=1, keepdims=True)
+        own = whole[src] - np.roll(pull, m, axis=0)
+        new = np.exp(own - own.max(axis=1, keepdims=True))
+        psi = damping * psi + (1 - damping) * new / new.sum(axis=1, keepdims=True)
+        if objective == "sbm" and sweep % 10 == 9:
+            joint, vol = belief[a].T @ belief[b], deg @ belief
+            learned = (joint + joint.T) * deg.sum() / np.maximum(np.outer(vol, vol), 1e-9)
+            table = 0.5 * table + 0.5 * np.maximum(learned / learned.mean(), 1e-3)
+    return belief.argmax(axis=1)
+
+
+def test_messages_fill_one_table(monkeypatch):
+    monkeypatch.setattr(baselines, "TURN", 700)
+    n, k = 200, 5
+    a, b = blocks_graph(n, 4, 1500)
+    deg = np.bincount(np.r_[a, b], minlength=n + 1).astype("f8")  # the last node has no edge
+    for objective in ("modularity", "sbm"):
+        found = baselines.messages(n + 1, a, b, deg, k, objective, 0.3, 12, 0)
+        assert (found == plain_messages(n + 1, a, b, k, objective, 12)).mean() > 0.99  # sums in single precision
+    monkeypatch.undo()
+    n, k = 5000, 16
+    a, b = blocks_graph(n, 8, 100_000)
+    tracemalloc.start()
+    baselines.messages(n, a, b, np.bincount(np.r_[a, b], minlength=n).astype("f8"), k, "modularity", 0.3, 2, 0)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 3 * 2 * len(a) * k * 4
