@@ -163,3 +163,25 @@ def test_messages_fill_one_table(monkeypatch):
     most = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert most < 3 * 2 * len(a) * k * 4
+
+
+def test_a_sample_of_a_larger_graph_is_inferred(spark, monkeypatch):
+    from blockfinder.operators import graph
+
+    n = 600
+    a, b = blocks_graph(n, 3, 6000)
+    g = graph.build(spark.createDataFrame([(int(x), int(y)) for x, y in zip(a, b, strict=True)], "a long, b long"), spark.range(n + 2))
+    found = baselines.sbm_mcmc(g, sample_fraction=0.5).toPandas().set_index("id")["block"].sort_index()
+    assert found.nunique() < 50 and found[n] == n and found[n + 1] == n + 1  # nothing to follow
+    drawn = {r["id"] for r in baselines.sampled(g, 0, 0.5).collect()}
+    assert drawn == set(np.flatnonzero(baselines.uniform_block(0, np.arange(n + 2), 1)[:, 0] < 0.5).tolist())
+    # In a task or distributed: the same labels are followed alike.
+    start = np.where(np.isin(np.arange(n + 2), list(drawn)), np.arange(n + 2) % 7, -1)
+    start[:7] = np.arange(7)
+    after = baselines.follow(start.copy(), n + 2, a, b)
+    rows = [(int(i), int(start[i])) for i in np.flatnonzero(start >= 0)]
+    other = baselines.followed(g, spark.createDataFrame(rows, "id long, block long")).toPandas().set_index("id")["block"].sort_index()
+    assert (other.to_numpy() == after).all()
+    monkeypatch.setattr(baselines, "ONE_TASK_EDGES", 4000)  # fewer than the graph has, which was refused
+    monkeypatch.setattr(baselines, "infer", lambda n, *rest: np.arange(n) % 7)
+    assert baselines.sbm_mcmc(g, sample_fraction=0.5).count() == n + 2
