@@ -185,3 +185,20 @@ def test_a_sample_of_a_larger_graph_is_inferred(spark, monkeypatch):
     monkeypatch.setattr(baselines, "ONE_TASK_EDGES", 4000)  # fewer than the graph has, which was refused
     monkeypatch.setattr(baselines, "infer", lambda n, *rest: np.arange(n) % 7)
     assert baselines.sbm_mcmc(g, sample_fraction=0.5).count() == n + 2
+
+
+def test_a_method_runs_once(spark, tmp_path):
+    from blockfinder.operators import graph
+
+    g = graph.build(spark.createDataFrame([(1, 2), (3, 4)], "a long, b long"))
+    log = str(tmp_path / "runs")
+
+    def method(n, a, b):
+        with open(log, "a") as out:
+            out.write("run\n")
+        return np.arange(n) // 2
+
+    found = baselines.in_one_task(g, method)
+    assert found.count() == 4 and len(found.collect()) == 4
+    with open(log) as lines:
+        assert len(lines.readlines()) == 1
